@@ -4,7 +4,8 @@ Documents are counted by membership pattern (the set of sources that hold them).
 nothing, a second time at a price and a third at a higher price; each source asks for its target. The cheapest flow says
 how many words of a pattern each source takes. A pattern's words are then whole repetitions of all its documents, and the
 rest by a seeded order: documents come by the hash of their id, whole buckets of that order first and single documents in
-the bucket where the rest ends.
+the bucket where the rest ends. What a document too large for the end leaves open goes to smaller ones, by the same order,
+in a few more rounds.
 
 The flow has a vertex per pattern and per source. Both are collected to the driver behind a check of their number.
 
@@ -16,6 +17,7 @@ other columns are ignored; an empty table gives an empty one.
 from __future__ import annotations
 
 import heapq
+import json
 from fractions import Fraction
 
 from pyspark.sql import Column, DataFrame, Window
@@ -25,6 +27,7 @@ from orderstat.llm.common import WORD_PATTERN, stored
 
 BUCKETS = 4096
 MOST_PATTERNS = 200_000
+ROUNDS = 4
 #: Prices of the first, second and third use of a document: convex, so that no word repeats while another is unused.
 PRICES = (0, 1, 3)
 
@@ -102,43 +105,56 @@ def mixed(docs: DataFrame, sources: Column | None = None, weights: tuple[int, ..
     """(doc_id, source, size, source_size, target, copies, taken) for each row of docs.
 
     sources: an array column of the sources that hold a document; by default the column source alone. source is the first of
-    them; source_size and target are that source's. Rounding leaves less than half a document over or under for each pattern.
+    them; source_size and target are that source's. What a pattern misses of its flow is less than its smallest document left.
     """
     spark = docs.sparkSession
     prices = tuple(k * (k + 1) // 2 for k in range(most))
     member = F.array(docs["source"].cast("string")) if sources is None else sources
-    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.sort_array(F.array_distinct(member), asc=False).alias("pattern"), words(docs["text"].cast("string")).alias("size"))
-    rows = stored(rows.withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(BUCKETS)).cast("int")), "sizes")
-    buckets = stored(rows.groupBy("pattern", "bucket").agg(F.sum("size").alias("size")), "buckets")
-    totals = buckets.groupBy("pattern").agg(F.sum("size").alias("size")).limit(MOST_PATTERNS + 1).collect()
+    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.to_json(F.sort_array(F.array_distinct(member), asc=False)).alias("pattern"), words(docs["text"].cast("string")).alias("size"))
+    rows = stored(rows.withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(BUCKETS)).cast("int")).withColumn("more", F.lit(False)), "sizes")
+    totals = rows.groupBy("pattern").agg(F.sum("size").alias("size")).limit(MOST_PATTERNS + 1).collect()
     if len(totals) > MOST_PATTERNS:
         raise ValueError(f"more than {MOST_PATTERNS} membership patterns; group sources first")
-    pattern = sorted((tuple(r["pattern"]) for r in totals), key=lambda p: [(x is None, x or "") for x in p])
-    offer = {tuple(r["pattern"]): int(r["size"]) for r in totals}
-    names = sorted({s for p in pattern for s in p}, key=lambda s: (s is None, s or ""))
-    size = {s: sum(offer[p] for p in pattern if s in p) for s in names}
-    weight = {s: weights[k % len(weights)] for k, s in enumerate(names)}
-    goal = targets(size, weight, sum(offer.values()), most)
+    offer = {r["pattern"]: int(r["size"]) for r in totals}
+    pattern = {p: json.loads(p) for p in sorted(offer)}
+    names = sorted({s for p in pattern.values() for s in p}, key=lambda s: (s is None, s or ""))
     at = {s: k for k, s in enumerate(names)}
-    flow = cheapest_flow([offer[p] for p in pattern], [round(goal[s]) for s in names], [[at[s] for s in p] for p in pattern], prices)
+    size = {s: sum(offer[p] for p, ss in pattern.items() if s in ss) for s in names}
+    goal = targets(size, {s: weights[k % len(weights)] for s, k in at.items()}, sum(offer.values()), most)
+    flow = cheapest_flow([offer[p] for p in pattern], [round(goal[s]) for s in names], [[at[s] for s in ss] for ss in pattern.values()], prices)
     plan = []
-    for p, given in zip(pattern, flow):
+    for (p, ss), given in zip(pattern.items(), flow):
         use = min(sum(given.values()), most * offer[p])
         whole = min(use // offer[p], most) if offer[p] else 0
         # The source that stands for a pattern is the one that takes most of it.
-        first = max(p, key=lambda s: (given.get(at[s], 0), -at[s])) if p else None
-        plan.append((list(p), first, int(whole), int(use - whole * offer[p]), size.get(first, 0), float(goal.get(first, 0))))
-    planned = spark.createDataFrame(plan, "pattern array<string>, source string, whole int, rest long, source_size long, target double")
-    by_key = ("pattern",)
-    order = Window.partitionBy(*by_key).orderBy("bucket")
-    # At most BUCKETS rows a pattern, so the running sum of a hot source is as small as any.
-    ends = buckets.withColumn("upto", F.sum("size").over(order)).join(F.broadcast(planned), "pattern")
-    ends = ends.select("pattern", "bucket", "source", "whole", "source_size", "target", (F.col("upto") <= F.col("rest")).alias("inside"), (F.col("rest") - (F.col("upto") - F.col("size"))).alias("room"))
-    met = rows.join(ends, ["pattern", "bucket"])
-    cut = (~F.col("inside")) & (F.col("room") > 0)
-    edge = met.filter(cut)
-    turn = Window.partitionBy("pattern").orderBy(F.xxhash64(F.lit(seed + 1), "doc_id"), "doc_id", "size")
-    edge = edge.withColumn("upto", F.sum("size").over(turn)).withColumn("more", F.col("upto") - F.col("size") / 2 <= F.col("room")).drop("upto")
-    out = edge.unionByName(met.filter(~cut).withColumn("more", F.col("inside")))
+        first = max(ss, key=lambda s: (given.get(at[s], 0), -at[s])) if ss else None
+        plan.append((p, first, int(whole), int(use - whole * offer[p]), size.get(first, 0), float(goal.get(first, 0))))
+    planned = F.broadcast(spark.createDataFrame(plan, "pattern string, source string, whole int, rest long, source_size long, target double"))
+    for _ in range(ROUNDS):
+        rows = stored(_filled(rows, planned.select("pattern", "rest")), "picked")
     copies = F.when(F.col("size") == 0, 0).otherwise(F.least(F.col("whole") + F.col("more").cast("int"), F.lit(most)))
-    return out.select("doc_id", "source", "size", "source_size", "target", copies.cast("int").alias("copies"), (F.col("size") * copies).cast("long").alias("taken"))
+    return rows.join(planned, "pattern").select("doc_id", "source", "size", "source_size", "target", copies.cast("int").alias("copies"), (F.col("size") * copies).cast("long").alias("taken"))
+
+
+def _filled(rows: DataFrame, rests: DataFrame) -> DataFrame:
+    """rows with more set for further documents, in seeded order, as long as their pattern's rest has room."""
+    used = rows.groupBy("pattern").agg(F.sum(F.when(F.col("more"), F.col("size")).otherwise(0)).alias("used"))
+    room = F.broadcast(used.join(rests, "pattern").select("pattern", (F.col("rest") - F.col("used")).alias("room")))  # a row for each pattern
+    fits = rows.join(room, "pattern").withColumn("open", ~F.col("more") & (F.col("size") > 0) & (F.col("size") <= F.col("room")))
+    # At most BUCKETS rows a pattern, so the running sum of a hot source is as small as any.
+    ends = fits.filter("open").groupBy("pattern", "bucket", "room").agg(F.sum("size").alias("n"))
+    ends = ends.withColumn("upto", F.sum("n").over(Window.partitionBy("pattern").orderBy("bucket"))).filter(F.col("upto") - F.col("n") < F.col("room"))
+    ends = ends.select("pattern", "bucket", (F.col("upto") <= F.col("room")).alias("inside"), (F.col("room") - F.col("upto") + F.col("n")).alias("left"))
+    met = fits.join(ends, ["pattern", "bucket"], "left")
+    cut = F.col("open") & F.coalesce(~F.col("inside"), F.lit(False))
+    turn = Window.partitionBy("pattern").orderBy(F.xxhash64("doc_id", "bucket"), "doc_id", "size")
+    edge = met.filter(cut).withColumn("more", F.sum("size").over(turn.rowsBetween(Window.unboundedPreceding, 0)) <= F.col("left"))
+    rest = met.filter(~cut).withColumn("more", F.col("more") | (F.col("open") & F.coalesce("inside", F.lit(False))))
+    return rest.unionByName(edge).select("doc_id", "pattern", "size", "bucket", "more")
+
+
+def repeated(docs: DataFrame, **how) -> DataFrame:
+    """The rows of docs, each as often as the mix takes it; rows of size 0 are left out. Null ids are one document."""
+    plan = mixed(docs, **how).filter("copies > 0").select(F.col("doc_id").alias("_id"), F.col("size").alias("_size"), F.col("copies").alias("_copies")).distinct()
+    met = docs.withColumn("_words", words(docs["text"].cast("string"))).join(plan, docs["doc_id"].cast("long").eqNullSafe(F.col("_id")) & (F.col("_words") == F.col("_size")))
+    return met.withColumn("_turn", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[docs[c] for c in docs.columns])

@@ -28,8 +28,8 @@ from orderstat.llm import recompress as R
 from orderstat.llm.common import by_doc, id_and_text, pieces, raw_texts, small_enough, stored
 
 ROUNDS = 6
-#: Ids of documents to read again are broadcast up to this many (16 MB); beyond, the join shuffles.
-BROADCAST_IDS = 1_000_000
+#: Documents to read again are broadcast, with their marks or spans, up to this many (some tens of MB); beyond, the join shuffles.
+BROADCAST_IDS = 200_000
 NOTHING = hashlib.sha256(b"").hexdigest()
 
 

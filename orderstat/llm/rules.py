@@ -32,7 +32,7 @@ THETA = 0.001
 MIN_REFERENCE = 2000
 #: Guards: words and characters below which a document is not judged by divergence.
 MIN_WORDS, MIN_CHARS = 50, 200
-MOST_CLASS_DISTANCE, MOST_WORD_DISTANCE = 0.4, 0.6
+MOST_CLASS_DISTANCE, MOST_WORD_DISTANCE = 0.32, 0.55
 CLASSES = 9
 
 
