@@ -31,7 +31,7 @@ def without_common_lines(docs: DataFrame, min_chars: int = 40, min_docs: int = 5
     rows = rows.select("doc_id", "at", line_key(F.col("line")).alias("key")).filter(F.char_length("key") >= min_chars)
     rows = rows.select("doc_id", "at", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(1), "key").alias("h2"))
     often = rows.groupBy("h1", "h2").agg(F.count("*").alias("n")).filter(F.col("n") >= min_docs).select("h1", "h2")
-    held = stored(rows.join(often, ["h1", "h2"]), "lines")
+    held = stored(rows.join(often.hint("merge"), ["h1", "h2"]), "lines")
     common = held.groupBy("h1", "h2", "doc_id").agg(F.lit(1).alias("one")).groupBy("h1", "h2").agg(F.count("one").alias("n"), F.max("doc_id").alias("last")).filter(F.col("n") >= min_docs)
     drop = held.join(common.select("h1", "h2", "last"), ["h1", "h2"]).filter("doc_id < last").groupBy("doc_id").agg(F.collect_set("at").alias("drop"))
 
@@ -40,4 +40,5 @@ def without_common_lines(docs: DataFrame, min_chars: int = 40, min_docs: int = 5
 
     lines = split_lines(F.col("text"))
     kept = F.when(F.col("drop").isNull(), F.coalesce("text", F.lit(""))).otherwise(F.transform(F.array(lines), stay)[0])
-    return text.join(drop, "doc_id", "left").select("doc_id", F.size(lines).cast("long").alias("n_lines"), F.when(F.col("drop").isNull(), 0).otherwise(F.size("drop")).cast("long").alias("n_dropped"), kept.alias("kept"))
+    # drop grows with the documents, so the join is a merge at every size; the engine splits its hot keys.
+    return text.join(drop.hint("merge"), "doc_id", "left").select("doc_id", F.size(lines).cast("long").alias("n_lines"), F.when(F.col("drop").isNull(), 0).otherwise(F.size("drop")).cast("long").alias("n_dropped"), kept.alias("kept"))
