@@ -179,8 +179,20 @@ def crc32(text: Column) -> Column:
     return F.crc32(text.cast("string").cast("binary"))
 
 
-def scores(docs: DataFrame, labels: DataFrame, most_labelled: int = MOST_LABELLED) -> DataFrame:
-    """(doc_id, score) for each row of docs; labels has the rows (doc_id, quality) to learn from."""
+@dataclass
+class Model:
+    """What scoring needs; its size does not depend on the data."""
+
+    vectors: np.ndarray
+    shapes: np.ndarray
+    network: Network
+
+    def score(self, texts: list[bytes], reader: Reader) -> np.ndarray:
+        return self.network.score(pool(texts, self.vectors, self.shapes, reader).astype(np.float64))
+
+
+def learn(docs: DataFrame, labels: DataFrame, most_labelled: int = MOST_LABELLED) -> Model:
+    """Context vectors from all of docs, the network from the rows (doc_id, quality) of labels."""
     spark, text = docs.sparkSession, id_and_text(docs)
     vectors, shapes = context_vectors(docs), index_vectors(BUCKETS, 2)
     shipped = spark.sparkContext.broadcast((vectors, shapes))  # BUCKETS by DIMS floats, twice
@@ -195,27 +207,42 @@ def scores(docs: DataFrame, labels: DataFrame, most_labelled: int = MOST_LABELLE
 
     rows = text.join(F.broadcast(taught), "doc_id").dropDuplicates(["doc_id"]).mapInArrow(pooled, "doc_id long, quality int, x array<double>").toPandas().sort_values("doc_id")
     net = fit(np.array(rows["x"].tolist()).reshape(len(rows), 2 * DIMS + 1), rows["quality"].to_numpy(dtype=float))
-    shipped_net = spark.sparkContext.broadcast(net)
+    return Model(vectors, shapes, net)
+
+
+def scores(docs: DataFrame, model: Model) -> DataFrame:
+    """(doc_id, score) for each row of docs."""
+    text, shipped = id_and_text(docs), docs.sparkSession.sparkContext.broadcast(model)
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reader = Reader()
         for batch in pieces(batches):
-            yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "score": shipped_net.value.score(pool(raw_texts(batch.column("text")), *shipped.value, reader).astype(np.float64))})
+            yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "score": shipped.value.score(raw_texts(batch.column("text")), reader)})
 
     return text.mapInArrow(scored, "doc_id long, score double")
 
 
+def taught(labels: DataFrame, folds: int = 5) -> DataFrame:
+    """Labels to learn from: all but fold 0 by the crc32 of the id as text."""
+    return labels.filter(crc32(F.col("doc_id")) % folds != 0)
+
+
 def quality(docs: DataFrame, labels: DataFrame, folds: int = 5, accept: float = ACCEPT) -> DataFrame:
-    """(doc_id, held_out, score, predicted): fold 0 by the crc32 of the id as text is held out from learning."""
-    own = labels.filter(crc32(F.col("doc_id")) % folds != 0)
-    found = scores(docs, own)
+    """(doc_id, held_out, score, predicted)."""
+    found = scores(docs, learn(docs, taught(labels, folds)))
     return found.select("doc_id", (crc32(F.col("doc_id")) % folds == 0).alias("held_out"), "score", (F.col("score") >= accept).cast("int").alias("predicted"))
 
 
-def accepted(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """The rows of docs that the classifier does not reject, with all their columns; rows with a null doc_id stay."""
-    bad = quality(docs, labels).filter("predicted = 0").select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti")
+def accepted(docs: DataFrame, labels: DataFrame, accept: float = ACCEPT) -> DataFrame:
+    """The rows of docs that score accept or more, with all their columns, in one pass and without a join."""
+    shipped = docs.sparkSession.sparkContext.broadcast(learn(docs, taught(labels)))
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        reader = Reader()
+        for batch in pieces(batches):
+            yield batch.filter(pa.array(shipped.value.score(raw_texts(batch.column("text")), reader) >= accept))
+
+    return docs.mapInArrow(keep, docs.schema)
 
 
 def fold(doc_id: int, folds: int = 5) -> int:

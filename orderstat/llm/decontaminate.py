@@ -21,6 +21,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -100,28 +101,47 @@ class Index:
 
 def contained(docs: DataFrame, items: DataFrame, width: int = 5, threshold: float = 0.8) -> DataFrame:
     """(doc_id, item_id, n_shared, n_shingles, containment) for each document that holds that share of an item's shingles."""
-    spark, text = docs.sparkSession, id_and_text(docs)
-    asked = items.select(items["item_id"].cast("long").alias("item_id"), items["text"].cast("string").alias("text"))
-    size = asked.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = max(1, math.ceil(size / BLOCK_BYTES))
+    text = id_and_text(docs)
     schema = "doc_id long, item_id long, n_shared long, n_shingles long, containment double"
 
-    def search(block: int) -> DataFrame:
-        rows = asked.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == block).collect()  # about BLOCK_BYTES
-        index = spark.sparkContext.broadcast(Index([(r["item_id"], (r["text"] or "").encode()) for r in rows], width, threshold))
-
+    def search(index: Broadcast) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in pieces(batches):
-                ids, found = batch.column("doc_id").to_pylist(), index.value.matches([t.translate(ASCII_LOWER).split() for t in raw_texts(batch.column("text"))])
+                ids, found = batch.column("doc_id").to_pylist(), index.value.matches(lowered(batch))
                 n = [len(index.value.sets[k]) for _, k, _ in found]
                 yield pa.RecordBatch.from_pydict({"doc_id": pa.array([ids[d] for d, _, _ in found], pa.int64()), "item_id": pa.array([index.value.ids[k] for _, k, _ in found], pa.int64()), "n_shared": pa.array([h for _, _, h in found], pa.int64()), "n_shingles": pa.array(n, pa.int64()), "containment": pa.array([h / m for (_, _, h), m in zip(found, n)], pa.float64())})
 
         return text.mapInArrow(run, schema)
 
-    return reduce(DataFrame.unionByName, [search(b) for b in range(blocks)])
+    return reduce(DataFrame.unionByName, [search(index) for index in indexes(items, width, threshold)])
+
+
+def lowered(batch: pa.RecordBatch) -> list[list[bytes]]:
+    return [t.translate(ASCII_LOWER).split() for t in raw_texts(batch.column("text"))]
+
+
+def indexes(items: DataFrame, width: int, threshold: float) -> Iterator[Broadcast]:
+    """Broadcast indexes of the items, in blocks of about BLOCK_BYTES of text."""
+    asked = items.select(items["item_id"].cast("long").alias("item_id"), items["text"].cast("string").alias("text"))
+    size = asked.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    blocks = max(1, math.ceil(size / BLOCK_BYTES))
+    for block in range(blocks):
+        rows = asked.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == block).collect()
+        yield items.sparkSession.sparkContext.broadcast(Index([(r["item_id"], (r["text"] or "").encode()) for r in rows], width, threshold))
 
 
 def clean(docs: DataFrame, items: DataFrame, width: int = 5, threshold: float = 0.8) -> DataFrame:
-    """docs without those that contain an item; rows with a null doc_id stay."""
-    bad = contained(docs, items, width, threshold).select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti")
+    """The rows of docs that contain no item, with all their columns: a pass for each block of items, without a join."""
+
+    def without(index: Broadcast):
+        def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in pieces(batches):
+                mask = np.ones(batch.num_rows, dtype=bool)
+                mask[[d for d, _, _ in index.value.matches(lowered(batch))]] = False
+                yield batch.filter(pa.array(mask))
+
+        return keep
+
+    for index in indexes(items, width, threshold):
+        docs = docs.mapInArrow(without(index), docs.schema)
+    return docs

@@ -4,8 +4,7 @@ Documents are counted by membership pattern (the set of sources that hold them).
 nothing, a second time at a price and a third at a higher price; each source asks for its target. The cheapest flow says
 how many words of a pattern each source takes. A pattern's words are then whole repetitions of all its documents, and the
 rest by a seeded order: documents come by the hash of their id, whole buckets of that order first and single documents in
-the bucket where the rest ends. What a document too large for the end leaves open goes to smaller ones, by the same order,
-in a few more rounds.
+the buckets where the rest ends, passing over those too large for what is left.
 
 The flow has a vertex per pattern and per source. Both are collected to the driver behind a check of their number.
 
@@ -20,14 +19,14 @@ import heapq
 import json
 from fractions import Fraction
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from orderstat.llm.common import WORD_PATTERN, stored
 
-BUCKETS = 4096
+BUCKETS, ZONE = 1 << 14, 4096
 MOST_PATTERNS = 200_000
-ROUNDS = 4
 #: Prices of the first, second and third use of a document: convex, so that no word repeats while another is unused.
 PRICES = (0, 1, 3)
 
@@ -105,13 +104,13 @@ def mixed(docs: DataFrame, sources: Column | None = None, weights: tuple[int, ..
     """(doc_id, source, size, source_size, target, copies, taken) for each row of docs.
 
     sources: an array column of the sources that hold a document; by default the column source alone. source is the first of
-    them; source_size and target are that source's. What a pattern misses of its flow is less than its smallest document left.
+    them; source_size and target are that source's. What a pattern misses of its flow is less than the smallest document it passed over.
     """
     spark = docs.sparkSession
     prices = tuple(k * (k + 1) // 2 for k in range(most))
     member = F.array(docs["source"].cast("string")) if sources is None else sources
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), F.to_json(F.sort_array(F.array_distinct(member), asc=False)).alias("pattern"), words(docs["text"].cast("string")).alias("size"))
-    rows = stored(rows.withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(BUCKETS)).cast("int")).withColumn("more", F.lit(False)), "sizes")
+    rows = stored(rows.withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(BUCKETS)).cast("int")), "sizes")
     totals = rows.groupBy("pattern").agg(F.sum("size").alias("size")).limit(MOST_PATTERNS + 1).collect()
     if len(totals) > MOST_PATTERNS:
         raise ValueError(f"more than {MOST_PATTERNS} membership patterns; group sources first")
@@ -130,31 +129,43 @@ def mixed(docs: DataFrame, sources: Column | None = None, weights: tuple[int, ..
         first = max(ss, key=lambda s: (given.get(at[s], 0), -at[s])) if ss else None
         plan.append((p, first, int(whole), int(use - whole * offer[p]), size.get(first, 0), float(goal.get(first, 0))))
     planned = F.broadcast(spark.createDataFrame(plan, "pattern string, source string, whole int, rest long, source_size long, target double"))
-    for _ in range(ROUNDS):
-        rows = stored(_filled(rows, planned.select("pattern", "rest")), "picked")
+    rows = _filled(rows, planned.select("pattern", "rest"))
     copies = F.when(F.col("size") == 0, 0).otherwise(F.least(F.col("whole") + F.col("more").cast("int"), F.lit(most)))
     return rows.join(planned, "pattern").select("doc_id", "source", "size", "source_size", "target", copies.cast("int").alias("copies"), (F.col("size") * copies).cast("long").alias("taken"))
 
 
 def _filled(rows: DataFrame, rests: DataFrame) -> DataFrame:
-    """rows with more set for further documents, in seeded order, as long as their pattern's rest has room."""
-    used = rows.groupBy("pattern").agg(F.sum(F.when(F.col("more"), F.col("size")).otherwise(0)).alias("used"))
-    room = F.broadcast(used.join(rests, "pattern").select("pattern", (F.col("rest") - F.col("used")).alias("room")))  # a row for each pattern
-    fits = rows.join(room, "pattern").withColumn("open", ~F.col("more") & (F.col("size") > 0) & (F.col("size") <= F.col("room")))
-    # At most BUCKETS rows a pattern, so the running sum of a hot source is as small as any.
-    ends = fits.filter("open").groupBy("pattern", "bucket", "room").agg(F.sum("size").alias("n"))
-    ends = ends.withColumn("upto", F.sum("n").over(Window.partitionBy("pattern").orderBy("bucket"))).filter(F.col("upto") - F.col("n") < F.col("room"))
-    ends = ends.select("pattern", "bucket", (F.col("upto") <= F.col("room")).alias("inside"), (F.col("room") - F.col("upto") + F.col("n")).alias("left"))
-    met = fits.join(ends, ["pattern", "bucket"], "left")
-    cut = F.col("open") & F.coalesce(~F.col("inside"), F.lit(False))
-    turn = Window.partitionBy("pattern").orderBy(F.xxhash64("doc_id", "bucket"), "doc_id", "size")
-    edge = met.filter(cut).withColumn("more", F.sum("size").over(turn.rowsBetween(Window.unboundedPreceding, 0)) <= F.col("left"))
-    rest = met.filter(~cut).withColumn("more", F.col("more") | (F.col("open") & F.coalesce("inside", F.lit(False))))
-    return rest.unionByName(edge).select("doc_id", "pattern", "size", "bucket", "more")
+    """rows with more set for documents in seeded order, as far as their pattern's rest has room.
+
+    Whole buckets come first. From the bucket where the rest ends on, a zone of that bucket and about ZONE documents after it is
+    gone through one by one, leaving out what no longer fits.
+    """
+    ends = rows.filter("size > 0").groupBy("pattern", "bucket").agg(F.sum("size").alias("n"), F.count("*").alias("docs")).join(rests, "pattern")
+    # At most BUCKETS rows a pattern, so the running sums of a hot source are as small as any.
+    order, whole = Window.partitionBy("pattern").orderBy("bucket"), Window.partitionBy("pattern")
+    ends = ends.withColumn("upto", F.sum("n").over(order)).withColumn("seen", F.sum("docs").over(order)).withColumn("inside", F.col("upto") <= F.col("rest"))
+    ends = ends.withColumn("left", F.col("rest") - F.coalesce(F.max(F.when(F.col("inside"), F.col("upto"))).over(whole), F.lit(0)))
+    ends = ends.withColumn("past", F.col("seen") - F.col("docs") - F.min(F.when(~F.col("inside"), F.col("seen") - F.col("docs"))).over(whole))
+    zone = ~F.col("inside") & (F.col("left") > 0) & (F.col("past") < ZONE)
+    ends = ends.select("pattern", "bucket", "inside", zone.alias("zone"), "left").filter("inside or zone")
+    met = rows.join(ends, ["pattern", "bucket"], "left")
+    near = F.coalesce(F.col("zone") & (F.col("size") > 0), F.lit(False))
+
+    def fit(part: pd.DataFrame) -> pd.DataFrame:
+        part = part.sort_values(["bucket", "turn", "doc_id", "size"], kind="stable")
+        left, more = int(part["left"].iloc[0]) if len(part) else 0, []
+        for size in part["size"].tolist():
+            more.append(size <= left)
+            left -= size if size <= left else 0
+        return part.assign(more=more)[["doc_id", "pattern", "size", "bucket", "more"]]
+
+    edge = met.filter(near).withColumn("turn", F.xxhash64("doc_id", "bucket")).groupBy("pattern").applyInPandas(fit, "doc_id long, pattern string, size long, bucket int, more boolean")
+    rest = met.filter(~near).withColumn("more", F.coalesce(F.col("inside"), F.lit(False)) & (F.col("size") > 0))
+    return rest.select("doc_id", "pattern", "size", "bucket", "more").unionByName(edge)
 
 
 def repeated(docs: DataFrame, **how) -> DataFrame:
     """The rows of docs, each as often as the mix takes it; rows of size 0 are left out. Null ids are one document."""
-    plan = mixed(docs, **how).filter("copies > 0").select(F.col("doc_id").alias("_id"), F.col("size").alias("_size"), F.col("copies").alias("_copies")).distinct()
+    plan = mixed(docs, **how).filter("copies > 0").select(F.col("doc_id").alias("_id"), F.col("size").alias("_size"), F.col("copies").alias("_copies")).distinct().hint("merge")  # grows with docs
     met = docs.withColumn("_words", words(docs["text"].cast("string"))).join(plan, docs["doc_id"].cast("long").eqNullSafe(F.col("_id")) & (F.col("_words") == F.col("_size")))
     return met.withColumn("_turn", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[docs[c] for c in docs.columns])
