@@ -54,12 +54,14 @@ class Coder:
         self.table = table
         self.freq, self.start = table.freq.astype(np.uint64), table.starts().astype(np.uint64)
         self.slots: np.ndarray | None = None
+        self.rank = np.zeros(int(table.symbols[-1]) + 1 if len(table.symbols) else 1, dtype=np.int32)
+        self.rank[table.symbols] = np.arange(len(table.symbols))
 
     def encode(self, ids: np.ndarray) -> tuple[int, bytes, bytes]:
         """(lanes, stream, checkpoints) of one block; ids must occur in the table."""
         n = len(ids)
         lanes = int(min(LANES, max(1, n // 64)))
-        rank = np.searchsorted(self.table.symbols, ids)
+        rank = self.rank[ids]
         freq, start = self.freq[rank], self.start[rank]
         steps = -(-n // lanes)
         x = np.full(lanes, LOW, dtype=np.uint64)

@@ -15,43 +15,78 @@ long text makes a longer block.
 
 from __future__ import annotations
 
+import re
 import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from orderstat.llm.common import id_and_text, pieces, raw_texts, shared_dir
 from orderstat.llm.rans import Coder, Table, crc
-from orderstat.llm.tokens import load
+from orderstat.llm.tokens import byte_letters, load
 
 SEGMENT, BLOCK = 4_000_000, 500_000
-MOST_KEPT = 500_000
+MOST_KEPT = 250_000
 _BLOCK = "struct<doc_ids:array<long>,counts:array<long>,n:long,lanes:int,stream:binary,checkpoints:binary,stream_crc:long,ids_crc:long>"
 SCHEMA = f"part int, segment int, start long, n_tokens long, freq_table binary, blocks array<{_BLOCK}>"
 
 
-class WordIds(dict):
-    """Ids of a word as bytes; white space parts words in this vocabulary's tokenizer, so a word's ids do not depend on its neighbours."""
+#: Fixed value: the public pattern by which this vocabulary's pre-tokenizer splits normalised text.
+PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: Words of these characters are normalised by lower-casing alone; others go through the library's own normaliser.
+PLAIN = re.compile("[\x21-\x7e\xa1-\u017f]+")
 
-    def __init__(self, path: str):
+
+class Recent(dict):
+    """A dict of two generations: when it is full, what was not used since the last time goes."""
+
+    def __init__(self, make):
         super().__init__()
-        self.tokenizer = load(path)
-        self.added = [a.content.encode() for a in self.tokenizer.get_added_tokens_decoder().values()]
+        self.make, self.old = make, {}
 
-    def __missing__(self, word: bytes) -> bytes:
+    def __missing__(self, key):
         if len(self) >= MOST_KEPT:
+            self.old = dict(self)
             self.clear()
-        found = self[word] = np.array(self.tokenizer.encode(word.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
+        found = self.old.get(key)
+        found = self[key] = self.make(key) if found is None else found
         return found
 
+
+class WordIds:
+    """Ids of texts as bytes. White space parts words in this vocabulary's tokenizer, so a word's ids do not depend on its neighbours.
+
+    Words and their pieces are kept; the library's model merges a piece it has not met lately, and its whole pipeline encodes words
+    of characters that PLAIN leaves out and texts with an added token's string.
+    """
+
+    def __init__(self, path: str):
+        self.tokenizer, self.letters, self.pattern = load(path), byte_letters(), regex.compile(PIECES)
+        self.added = [a.content.encode() for a in self.tokenizer.get_added_tokens_decoder().values()]
+        self.pieces, self.words = Recent(self._piece), Recent(self._word)
+
+    def _piece(self, piece: str) -> bytes:
+        made = self.tokenizer.model.tokenize("".join(map(self.letters.__getitem__, piece.encode())))
+        return np.array([t.id for t in made], dtype="<u4").tobytes()
+
+    def _word(self, word: bytes) -> bytes:
+        text = word.decode()
+        if PLAIN.fullmatch(text):
+            return b"".join(map(self.pieces.__getitem__, self.pattern.findall(text.lower())))
+        return self._whole(word)
+
+    def _whole(self, raw: bytes) -> bytes:
+        return np.array(self.tokenizer.encode(raw.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
+
     def ids(self, raw: bytes) -> bytes:
         if any(a in raw for a in self.added):
-            return np.array(self.tokenizer.encode(raw.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
-        return b"".join(map(self.__getitem__, raw.split()))
+            return self._whole(raw)
+        return b"".join(map(self.words.__getitem__, raw.split()))
 
 
 _words: dict[str, WordIds] = {}
