@@ -28,6 +28,7 @@ def upto(key: Column, pivots: Column, most: int) -> Column:
 
 
 def three_way(key: Column, pivots: Column, count: Column) -> Column:
+    count = F.coalesce(count, F.lit(0))  # never null, so that no join repeats the search to test for nulls
     equal = F.coalesce((count > 0) & (F.try_element_at(pivots, count) == key), F.lit(False))
     return (2 * count - equal.cast("int")).cast("int")
 

@@ -99,9 +99,13 @@ def _route(want: Wanted, part: Partition, kind: T.DataType) -> tuple[DataFrame,
     return _route_listed(want, part, kind) if want.rows is not None else _route_frame(want, part, kind)
 
 
-def finish(work: DataFrame, want: DataFrame) -> DataFrame:
-    """(asked, value) by ordering each subproblem; the largest wanted rank ends the numbering."""
+def finish(work: DataFrame, want: DataFrame, listed: bool = False) -> DataFrame:
+    """(asked, value) by ordering each subproblem; the largest wanted rank ends the numbering.
+
+    A listed want has Settings.listed_ranks rows at most and is broadcast, so the one shuffle is that of the ordering.
+    """
     last = want.groupBy("sub").agg(F.max("rank").alias("last"))
+    want, last = (F.broadcast(want), F.broadcast(last)) if listed else (want, last)
     numbered = work.join(last, "sub").withColumn("rank", F.row_number().over(Window.partitionBy("sub").orderBy("key"))).filter("rank <= last")
     return numbered.join(want, ["sub", "rank"]).select("asked", F.col("key").alias("value"))
 
@@ -138,14 +142,14 @@ def resolve(work: DataFrame, want: DataFrame, settings: Settings, ledger: Ledger
     """(asked, value) for all of want (sub, rank, asked). work's subproblems must be few enough to list: big groups, or buckets."""
     kind, spark = work.schema["key"].dataType, work.sparkSession
     done: list[DataFrame] = []
-    wanted = Wanted.of(want, settings.listed_ranks)
+    wanted, stuck = Wanted.of(want, settings.listed_ranks), False
     for depth in range(settings.max_levels):
         began = time.time()
         if depth and settings.trim == "exact":
             large = [s for s, n in sizes.items() if n > settings.finish_rows]
             if large:
                 big = F.col("sub").isin(large)
-                done.append(finish(work.filter(~big), wanted.frame.filter(~big)))
+                done.append(finish(work.filter(~big), wanted.frame.filter(~big), wanted.rows is not None))
                 answers, work, rest = _trimmed(work.filter(big), wanted.frame.filter(big), {s: sizes[s] for s in large}, settings)
                 done.append(answers)
                 wanted, sizes = Wanted.of(rest, settings.listed_ranks), None
@@ -154,7 +158,7 @@ def resolve(work: DataFrame, want: DataFrame, settings: Settings, ledger: Ledger
         here = {s: n for s, n in sizes.items() if n > settings.finish_rows or (depth == 0 and (delta or forced is not None))}
         if len(here) < len(sizes):
             small = ~F.col("sub").isin(list(here)) if here else F.lit(True)
-            done.append(finish(work.filter(small), wanted.frame.filter(small)))
+            done.append(finish(work.filter(small), wanted.frame.filter(small), wanted.rows is not None))
             ledger.rows_shuffled += sum(n for s, n in sizes.items() if s not in here)
             if here:
                 work, wanted = work.filter(~small), Wanted.of(wanted.frame.filter(~small), settings.listed_ranks)
@@ -163,6 +167,8 @@ def resolve(work: DataFrame, want: DataFrame, settings: Settings, ledger: Ledger
         total = sum(here.values())
         if forced is not None:
             part, mode, forced = counted(work, forced, settings), "given", None
+        elif stuck:
+            part, mode = counted(work, even_pivots(work, settings.min_fanout, settings.accuracy, own=True), settings), "elements"
         elif settings.pivots in ("medians", "paper") and delta:
             part, mode = multi_partition(work, delta, settings, "medians" if settings.pivots == "medians" else "summary"), settings.pivots
         else:
@@ -176,13 +182,15 @@ def resolve(work: DataFrame, want: DataFrame, settings: Settings, ledger: Ledger
         ledger.levels.append(Level(depth, "partition", mode, total, delta, len(opened), max(opened, default=0), answered, survivors, time.time() - began))
         if not needs:
             break
+        # Pivots that part nothing: next time take elements, each of which is removed with all its equals.
+        stuck = max(n for _, _, n in needs) == max(here.values())
         ids = spark.createDataFrame([(s, b, k) for k, (s, b, _) in enumerate(needs)], "sub long, bucket int, next long")
         kept = bucketize(work, part.pivots, part.most, settings.how).join(F.broadcast(ids), ["sub", "bucket"]).select(F.col("next").alias("sub"), "key")
         sizes, delta, wanted = {k: n for k, (_, _, n) in enumerate(needs)}, None, rest
         if all(n <= settings.finish_rows for n in sizes.values()):
             # The last read of the keys goes straight into the one shuffle; nothing is written between.
             ledger.rows_shuffled += survivors
-            done.append(finish(kept, wanted.frame))
+            done.append(finish(kept, wanted.frame, wanted.rows is not None))
             break
         work = stored(kept, "frontier")
     else:
@@ -207,7 +215,7 @@ def sort_and_pick(work: DataFrame, want: DataFrame, n: int, settings: Settings,
     moved = sum(n for _, _, n in needs)
     ledger.levels.append(Level(0, "sort", "summary", n, None, len(part.open_sizes()), max(part.open_sizes(), default=0), -1, moved, time.time() - began))
     ledger.rows_scanned, ledger.rows_shuffled = 3 * n, moved
-    return answers.unionByName(finish(kept, rest.frame))
+    return answers.unionByName(finish(kept, rest.frame, rest.rows is not None))
 
 
 def order_key(df: DataFrame, order_by: str | Column | list) -> Column:

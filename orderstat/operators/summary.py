@@ -73,10 +73,14 @@ def _summarise(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_pydict({"sub": pa.array([s] * len(got), pa.int64()), "key": pa.array([v for v, _ in got], kind), "w": pa.array([w for _, w in got], pa.int64())})
 
 
-def even_pivots(work: DataFrame, parts: int, accuracy: int) -> DataFrame:
-    """(sub, pivots): about parts - 1 sorted distinct values of each subproblem at even ranks."""
+def even_pivots(work: DataFrame, parts: int, accuracy: int, own: bool = False) -> DataFrame:
+    """(sub, pivots): about parts sorted distinct values of each subproblem at even ranks.
+
+    own asks for the compacting summary also where the built-in sketch serves: the sketch works on doubles, so among whole
+    numbers beyond 2^53 its values may not be elements. The compacting summary's always are.
+    """
     kind = work.schema["key"].dataType
-    if sketched(kind):
+    if sketched(kind) and not own:
         at = F.array([F.lit(k / parts) for k in range(1, parts)])
         return work.groupBy("sub").agg(F.array_sort(F.array_distinct(F.percentile_approx("key", at, accuracy))).alias("pivots"))
     return _even_from_points(work.select("sub", "key").mapInArrow(_summarise, T.StructType([T.StructField("sub", T.LongType()), T.StructField("key", kind), T.StructField("w", T.LongType())])), parts)
@@ -86,8 +90,10 @@ def _even_from_points(points: DataFrame, parts: int) -> DataFrame:
     merged = points.groupBy("sub", "key").agg(F.sum("w").alias("w"))
     order = Window.partitionBy("sub").orderBy("key").rowsBetween(Window.unboundedPreceding, 0)
     placed = merged.withColumn("cum", F.sum("w").over(order)).withColumn("all", F.sum("w").over(Window.partitionBy("sub")))
-    cut = placed.withColumn("part", F.expr(f"((cum - w) * {parts}) div all")).groupBy("sub", "part").agg(F.min("key").alias("key")).filter("part > 0")
-    return cut.groupBy("sub").agg(F.array_sort(F.array_distinct(F.collect_list("key"))).alias("pivots"))
+    cut = placed.withColumn("part", F.expr(f"((cum - w) * {parts}) div all")).groupBy("sub", "part").agg(F.min("key").alias("key"))
+    found = cut.groupBy("sub").agg(F.array_sort(F.array_distinct(F.collect_list("key"))).alias("pivots"))
+    none = F.array().cast(T.ArrayType(points.schema["key"].dataType))
+    return points.select("sub").distinct().join(found, "sub", "left").withColumn("pivots", F.coalesce("pivots", none))
 
 
 def bracket_pivots(work: DataFrame, ranks: list[int], n: int, accuracy: int) -> DataFrame:

@@ -36,7 +36,7 @@ def weighted_select(df: DataFrame, value: str, weight: str, target, group_by: li
     merged = df.filter(F.col(value).isNotNull()).groupBy(*by, value).agg(F.sum(weight).alias("w"))
     order = (Window.partitionBy(*by) if by else Window.partitionBy(F.lit(0))).orderBy(value).rowsBetween(Window.unboundedPreceding, 0)
     reached = merged.withColumn("cum_weight", F.sum("w").over(order)).filter(F.col("cum_weight") >= target)
-    return reached.groupBy(*by).agg(F.min(F.struct(F.col(value), F.col("cum_weight"))).alias("m")).select(*by, F.col(f"m.{value}").alias(value), "m.cum_weight")
+    return reached.groupBy(*by).agg(F.min(F.struct(F.col(value), F.col("cum_weight"))).alias("m")).filter("m is not null").select(*by, F.col(f"m.{value}").alias(value), "m.cum_weight")
 
 
 def gap_threshold(gaps: DataFrame, n: int) -> int | None:
