@@ -16,6 +16,7 @@ long text makes a longer block.
 from __future__ import annotations
 
 import re
+import struct
 import zlib
 from collections.abc import Iterator
 
@@ -31,7 +32,7 @@ from orderstat.llm.rans import Coder, Table, crc
 from orderstat.llm.tokens import byte_letters, load
 
 SEGMENT, BLOCK = 4_000_000, 500_000
-MOST_KEPT = 250_000
+MOST_KEPT = 350_000
 _BLOCK = "struct<doc_ids:array<long>,counts:array<long>,n:long,lanes:int,stream:binary,checkpoints:binary,stream_crc:long,ids_crc:long>"
 SCHEMA = f"part int, segment int, start long, n_tokens long, freq_table binary, blocks array<{_BLOCK}>"
 
@@ -42,6 +43,13 @@ PIECES = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 PLAIN = re.compile("[\x21-\x7e\xa1-\u017f]+")
 
 
+MARKS = b".,;:!?"
+
+
+def _packed(ids: list[int]) -> bytes:
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
 class Recent(dict):
     """A dict of two generations: when it is full, what was not used since the last time goes."""
 
@@ -70,18 +78,23 @@ class WordIds:
         self.added = [a.content.encode() for a in self.tokenizer.get_added_tokens_decoder().values()]
         self.pieces, self.words = Recent(self._piece), Recent(self._word)
 
-    def _piece(self, piece: str) -> bytes:
-        made = self.tokenizer.model.tokenize("".join(map(self.letters.__getitem__, piece.encode())))
-        return np.array([t.id for t in made], dtype="<u4").tobytes()
+    def _piece(self, piece: bytes) -> bytes:
+        made = self.tokenizer.model.tokenize("".join(map(self.letters.__getitem__, piece)))
+        return _packed([t.id for t in made])
 
     def _word(self, word: bytes) -> bytes:
+        low = word.lower()  # of A-Z alone
+        if low.isalpha():  # a-z alone: one piece
+            return self.pieces[low]
+        if low[:-1].isalpha() and low[-1] in MARKS:
+            return self.pieces[low[:-1]] + self.pieces[low[-1:]]
         text = word.decode()
         if PLAIN.fullmatch(text):
-            return b"".join(map(self.pieces.__getitem__, self.pattern.findall(text.lower())))
+            return b"".join([self.pieces[p.encode()] for p in self.pattern.findall(text.lower())])
         return self._whole(word)
 
     def _whole(self, raw: bytes) -> bytes:
-        return np.array(self.tokenizer.encode(raw.decode(), add_special_tokens=False).ids, dtype="<u4").tobytes()
+        return _packed(self.tokenizer.encode(raw.decode(), add_special_tokens=False).ids)
 
     def ids(self, raw: bytes) -> bytes:
         if any(a in raw for a in self.added):
