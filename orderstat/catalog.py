@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from orderstat import workloads as W
-from orderstat.functions import incremental, quantiles, sqlapi
+from orderstat.functions import incremental, quantiles, relational, sqlapi
 from orderstat.operators import baselines, kernel, select
 from orderstat.operators.cachesim import BlockCache
 from orderstat.operators.engine import Ledger, multi_select
@@ -624,3 +624,57 @@ def stream_window_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
     job.awaitTermination()
     return spark.read.schema(found.schema).parquet(f"{base}/out")
 
+
+
+# Relational forms, sweeps -------------------------------------------------------------------------
+
+
+@query(f"SELECT rank, value AS a, value AS b, true AS same FROM ({_TAIL})")
+def answers_compared(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows, ranks, _ = _tail_ranks(spark, sf_dir)
+    return relational.compared(multi_select(rows, PRICE, ranks), baselines.sort_all(rows, PRICE, R.of(spark, ranks)))
+
+
+@query(by_number("supplier", "s_acctbal", "rn IN (1, 2, 5, 9)"))
+def brute_force_theta(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return relational.brute_force(table(spark, sf_dir, "supplier"), "s_acctbal", R.of(spark, [1, 2, 5, 9]))
+
+
+@query("SELECT j, count(*) AS q, round(sum(k), 2) AS total FROM (SELECT l_extendedprice AS k, row_number() OVER (ORDER BY l_extendedprice) AS rn, count(*) OVER () AS n FROM lineitem) o, range(1, 11) t(j) WHERE rn IN (SELECT (i * n + (1 << j) - 1) // (1 << j) FROM range(1, 1024) s(i) WHERE i < (1 << j)) GROUP BY j".replace("range(1, 11)", "(VALUES (1), (4), (7), (10))"))
+def spectrum_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """2^j - 1 even ranks: from one selection towards a sort."""
+    rows, out = table(spark, sf_dir, "lineitem"), None
+    for j in (1, 4, 7, 10):
+        one = multi_select(rows, PRICE, W.spectrum(1 << 11)[j]).agg(F.lit(j).alias("j"), F.count("*").alias("q"), F.round(F.sum("value"), 2).alias("total"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(_AGREE)
+def random_ranks_agree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "orders")
+    n = rows.count()
+    checks = []
+    for seed in (1, 2):
+        ranks = R.resolve(spark, R.random(40, seed), n)
+        checks.append(relational.same_answers(multi_select(rows, "o_totalprice", ranks), baselines.sort_one(rows, "o_totalprice", ranks)))
+    return spark.createDataFrame([(all(checks),)], "agree boolean")
+
+
+@query(_AGREE)
+def input_orders_agree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same table sorted, reversed, shuffled, and dealt unevenly."""
+    rows = table(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice")
+    laid = [rows.repartitionByRange(8, "o_totalprice").sortWithinPartitions("o_totalprice"), rows.repartitionByRange(8, F.desc("o_totalprice")).sortWithinPartitions(F.desc("o_totalprice")), rows.repartition(8, F.xxhash64("o_orderkey")), rows.repartition(8, F.when(F.col("o_orderkey") % 10 < 9, 0).otherwise(F.col("o_orderkey")))]
+    got = [multi_select(x, "o_totalprice", W.TAIL, settings=Settings(branch="partition", finish_rows=500)).collect() for x in laid]
+    return spark.createDataFrame([(all(g == got[0] for g in got),)], "agree boolean")
+
+
+@query("SELECT CAST(start AS TIMESTAMP) AS start, event_type, CAST(sum(1) AS BIGINT) AS n FROM (SELECT time_bucket(INTERVAL 12 HOUR, ts) - o * INTERVAL 12 HOUR AS start, event_type FROM events, range(0, 2) t(o)) GROUP BY 1, 2")
+def sliding_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sliding windows of a day every half day, from the histograms that streams keep; here over the table as a batch."""
+    from orderstat.streaming import windows
+
+    rows = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    counts = windows.window_counts(rows, "value", F.window("ts", "24 hours", "12 hours"), ["event_type"])
+    return counts.groupBy("start", "event_type").agg(F.sum("n").alias("n"))
