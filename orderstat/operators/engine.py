@@ -255,8 +255,15 @@ def multi_select(df: DataFrame, order_by: str | Column | list, ranks, *, group_b
     row = every.agg(F.count("key").alias("n"), F.count("*").alias("all")).first()
     n, missing = row["n"], row["all"] - row["n"]
     total = n if nulls == "exclude" else row["all"]
-    asked = R.resolve(df.sparkSession, ranks, total, on_invalid).select(F.col("rank").alias("asked"))
-    few = [r["asked"] for r in asked.limit(settings.listed_ranks + 1).collect()]
+    few, asked = R.listed(ranks, total), None
+    if few is not None and len(few) <= settings.listed_ranks:
+        wrong = [r for r in few if not 1 <= r <= total]
+        if wrong and on_invalid == "error":
+            raise ValueError(f"ranks must lie in 1..{total}")
+        few = [r for r in few if 1 <= r <= total]
+    else:
+        asked = R.resolve(df.sparkSession, ranks, total, on_invalid).select(F.col("rank").alias("asked"))
+        few = [r["asked"] for r in asked.limit(settings.listed_ranks + 1).collect()]
     listed = len(few) <= settings.listed_ranks
     if listed:
         asked = df.sparkSession.createDataFrame([(r,) for r in few], "asked long")

@@ -101,8 +101,19 @@ def from_column(df: DataFrame, col: str) -> Family:
     return lambda spark, n: df.select(F.col(col).cast("long").alias("rank")).filter(f"rank between 1 and {n}").distinct()
 
 
+def listed(spec, n: int) -> list[int] | None:
+    """The ranks of a short list, without a job; None for families and DataFrames."""
+    if isinstance(spec, At):
+        return list(spec.ranks)
+    if isinstance(spec, Fractions):
+        return sorted({fraction_rank(p, n) for p in spec.ps}) if n else []
+    return sorted({int(r) for r in spec}) if isinstance(spec, (list, tuple, set, range)) else None
+
+
 def resolve(spark: SparkSession, spec: Family | DataFrame | Iterable[int], n: int, on_invalid: str = "error") -> DataFrame:
     """Distinct ranks between 1 and n. Ranks outside raise an error, or are dropped with on_invalid="drop"."""
+    if on_invalid not in ("error", "drop"):
+        raise ValueError("on_invalid is \"error\" or \"drop\"")
     if callable(spec):
         found = spec(spark, n)
     elif isinstance(spec, DataFrame):
