@@ -31,9 +31,11 @@ def without_common_lines(docs: DataFrame, min_chars: int = 40, min_docs: int = 5
     rows = rows.select("doc_id", "at", line_key(F.col("line")).alias("key")).filter(F.char_length("key") >= min_chars)
     rows = rows.select("doc_id", "at", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(1), "key").alias("h2"))
     often = rows.groupBy("h1", "h2").agg(F.count("*").alias("n")).filter(F.col("n") >= min_docs).select("h1", "h2")
+    often = stored(often, "often")  # on its own, so that the join's hot keys can be split
     held = stored(rows.join(often.hint("merge"), ["h1", "h2"]), "lines")
     common = held.groupBy("h1", "h2", "doc_id").agg(F.lit(1).alias("one")).groupBy("h1", "h2").agg(F.count("one").alias("n"), F.max("doc_id").alias("last")).filter(F.col("n") >= min_docs)
-    drop = held.join(common.select("h1", "h2", "last"), ["h1", "h2"]).filter("doc_id < last").groupBy("doc_id").agg(F.collect_set("at").alias("drop"))
+    common = stored(common.select("h1", "h2", "last"), "common")
+    drop = held.join(common.hint("merge"), ["h1", "h2"]).filter("doc_id < last").groupBy("doc_id").agg(F.collect_set("at").alias("drop"))
 
     def stay(split: Column) -> Column:
         return F.array_join(F.transform(F.array_except(F.sequence(F.lit(0), F.size(split) - 1), F.col("drop")), lambda k: split[k]), "\n")

@@ -95,7 +95,7 @@ def read_again(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 def signatures(docs: DataFrame, window: int = 50) -> DataFrame:
     """One row per row of docs: (doc_id, n_words, sha, marks, loose, first), first the least doc_id with the same words."""
     rows = stored(id_and_text(docs).mapInArrow(_signatures(window), "doc_id long, n_words long, sha string, marks array<long>, loose boolean"), "signatures")
-    first = rows.filter("doc_id is not null").groupBy("sha").agg(F.min("doc_id").alias("first"))
+    first = stored(rows.filter("doc_id is not null").groupBy("sha").agg(F.min("doc_id").alias("first")), "first")
     return stored(rows.join(first, "sha", "left"), "signatures")
 
 
@@ -105,12 +105,14 @@ def repeated_spans(docs: DataFrame, sigs: DataFrame, window: int = 50) -> DataFr
     originals = sigs.filter((F.col("first") == F.col("doc_id")) & (F.col("n_words") >= window))
     held = originals.select(F.explode("marks").alias("mark"), "doc_id")
     shared = held.groupBy("mark").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("z")).filter("a < z").select("mark")
+    shared = stored(shared, "shared")  # on its own, so that the join's hot marks can be split
     # A document has few marks (about one for 20 words), so their array is bounded by its text.
     hits = held.join(shared, "mark").groupBy("doc_id").agg(F.collect_set("mark").alias("shared"))
     loose = originals.filter("loose").select("doc_id", F.array().cast("array<long>").alias("shared"))
     again = stored(hits.unionByName(loose).groupBy("doc_id").agg(F.flatten(F.collect_list("shared")).alias("shared")), "again")
     found = read_again(text, again).mapInArrow(_windows(window), "h1 long, h2 long, doc_id long, at int")
     least = found.groupBy("h1", "h2").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("z")).filter("a < z").select("h1", "h2", "a")
+    least = stored(least, "least")
     return found.join(least, ["h1", "h2"]).filter("doc_id > a").groupBy("doc_id").agg(F.collect_set("at").alias("starts"))
 
 
