@@ -32,7 +32,7 @@ from orderstat.llm.rans import Coder, Table, crc
 from orderstat.llm.tokens import byte_letters, load
 
 SEGMENT, BLOCK = 4_000_000, 500_000
-MOST_KEPT = 350_000
+MOST_KEPT = 300_000
 _BLOCK = "struct<doc_ids:array<long>,counts:array<long>,n:long,lanes:int,stream:binary,checkpoints:binary,stream_crc:long,ids_crc:long>"
 SCHEMA = f"part int, segment int, start long, n_tokens long, freq_table binary, blocks array<{_BLOCK}>"
 
@@ -82,24 +82,24 @@ class WordIds:
         made = self.tokenizer.model.tokenize("".join(map(self.letters.__getitem__, piece)))
         return _packed([t.id for t in made])
 
-    def _word(self, word: bytes) -> bytes:
-        low = word.lower()  # of A-Z alone
+    def _word(self, low: bytes) -> bytes:
         if low.isalpha():  # a-z alone: one piece
             return self.pieces[low]
         if low[:-1].isalpha() and low[-1] in MARKS:
             return self.pieces[low[:-1]] + self.pieces[low[-1:]]
-        text = word.decode()
+        text = low.decode()
         if PLAIN.fullmatch(text):
             return b"".join([self.pieces[p.encode()] for p in self.pattern.findall(text.lower())])
-        return self._whole(word)
+        return self._whole(low)
 
     def _whole(self, raw: bytes) -> bytes:
         return _packed(self.tokenizer.encode(raw.decode(), add_special_tokens=False).ids)
 
     def ids(self, raw: bytes) -> bytes:
-        if any(a in raw for a in self.added):
+        low = raw.lower()  # of A-Z alone: the tokenizer lower-cases all, so nothing changes and fewer words differ
+        if any(a in low for a in self.added):
             return self._whole(raw)
-        return b"".join(map(self.words.__getitem__, raw.split()))
+        return b"".join(map(self.words.__getitem__, low.split()))
 
 
 _words: dict[str, WordIds] = {}

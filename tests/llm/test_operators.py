@@ -103,7 +103,7 @@ def test_token_counts(odd, rows):
 
 def _texts(seed, count):
     r = random.Random(seed)
-    pools = [[chr(i) for i in range(1, 0x180)], [chr(i) for i in range(0x20, 0x7F)], [chr(i) for i in range(1, 0x3000)], list("aA1 '\n\tsßİéñ.,!?²½́ \u0085 ſΣςσ😀가中"), ["<|endoftext|>", "<|startoftext|>", "a ", " b", "'s", "'ll", "Don't"]]
+    pools = [[chr(i) for i in range(1, 0x180)], [chr(i) for i in range(0x20, 0x7F)], [chr(i) for i in range(1, 0x3000)], list("aA1 '\n\tsßİéñ.,!?²½́ \u0085 ſΣςσ😀가中"), ["<|endoftext|>", "<|startoftext|>", "a ", " b", "'s", "'ll", "Don't", "<|STARTOFTEXT|>", "\u0307", "I", "İ", "中"]]
     for _ in range(count):
         pool = r.choice(pools)
         yield "".join(r.choice(pool) for _ in range(r.randint(0, 30)))
