@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import os
 import tempfile
 import zipfile
 from pathlib import Path
@@ -12,11 +13,11 @@ _sent: set[str] = set()
 
 
 def ship(spark: SparkSession) -> None:
-    """Once for each application; executors that come later get the code too."""
-    sc = spark.sparkContext
-    if sc.applicationId in _sent:
+    """Once for each application, unless workers find the code by PYTHONPATH or the working directory; later executors get it too."""
+    sc, root = spark.sparkContext, Path(__file__).resolve().parents[2]
+    known = [Path(p).resolve() for p in [*os.environ.get("PYTHONPATH", "").split(os.pathsep), os.getcwd()] if p]
+    if root in known or sc.applicationId in _sent:
         return
-    root = Path(__file__).resolve().parents[2]
     path = Path(tempfile.mkdtemp(prefix="orderstat-code-")) / "orderstat_code.zip"
     with zipfile.ZipFile(path, "w", zipfile.ZIP_DEFLATED) as z:
         for file in sorted((root / "orderstat").rglob("*.py")):
