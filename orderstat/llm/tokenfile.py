@@ -32,7 +32,8 @@ from orderstat.llm.rans import Coder, Table, crc
 from orderstat.llm.tokens import byte_letters, load
 
 SEGMENT, BLOCK = 4_000_000, 500_000
-MOST_KEPT = 300_000
+#: Words and pieces kept in a generation, by worker: a word not kept costs its split, a piece not kept a merge.
+WORDS_KEPT, PIECES_KEPT = 60_000, 200_000
 _BLOCK = "struct<doc_ids:array<long>,counts:array<long>,n:long,lanes:int,stream:binary,checkpoints:binary,stream_crc:long,ids_crc:long>"
 SCHEMA = f"part int, segment int, start long, n_tokens long, freq_table binary, blocks array<{_BLOCK}>"
 
@@ -53,12 +54,12 @@ def _packed(ids: list[int]) -> bytes:
 class Recent(dict):
     """A dict of two generations: when it is full, what was not used since the last time goes."""
 
-    def __init__(self, make):
+    def __init__(self, make, most: int):
         super().__init__()
-        self.make, self.old = make, {}
+        self.make, self.most, self.old = make, most, {}
 
     def __missing__(self, key):
-        if len(self) >= MOST_KEPT:
+        if len(self) >= self.most:
             self.old = dict(self)
             self.clear()
         found = self.old.get(key)
@@ -76,7 +77,7 @@ class WordIds:
     def __init__(self, path: str):
         self.tokenizer, self.letters, self.pattern = load(path), byte_letters(), regex.compile(PIECES)
         self.added = [a.content.encode() for a in self.tokenizer.get_added_tokens_decoder().values()]
-        self.pieces, self.words = Recent(self._piece), Recent(self._word)
+        self.pieces, self.words = Recent(self._piece, PIECES_KEPT), Recent(self._word, WORDS_KEPT)
 
     def _piece(self, piece: bytes) -> bytes:
         made = self.tokenizer.model.tokenize("".join(map(self.letters.__getitem__, piece)))
