@@ -33,7 +33,7 @@ from orderstat.llm.tokens import byte_letters, load
 
 SEGMENT, BLOCK = 4_000_000, 500_000
 #: Words and pieces kept in a generation, by worker: a word not kept costs its split, a piece not kept a merge.
-WORDS_KEPT, PIECES_KEPT = 60_000, 200_000
+WORDS_KEPT, PIECES_KEPT = 300_000, 300_000
 _BLOCK = "struct<doc_ids:array<long>,counts:array<long>,n:long,lanes:int,stream:binary,checkpoints:binary,stream_crc:long,ids_crc:long>"
 SCHEMA = f"part int, segment int, start long, n_tokens long, freq_table binary, blocks array<{_BLOCK}>"
 
@@ -80,7 +80,8 @@ class WordIds:
         self.pieces, self.words = Recent(self._piece, PIECES_KEPT), Recent(self._word, WORDS_KEPT)
 
     def _piece(self, piece: bytes) -> bytes:
-        made = self.tokenizer.model.tokenize("".join(map(self.letters.__getitem__, piece)))
+        # The letters a-z stand for themselves.
+        made = self.tokenizer.model.tokenize(piece.decode() if piece.isalpha() else "".join(map(self.letters.__getitem__, piece)))
         return _packed([t.id for t in made])
 
     def _word(self, low: bytes) -> bytes:
