@@ -34,7 +34,7 @@ BUCKETS, DIMS, SIGNS = 1 << 14, 32, 2
 MOST_LABELLED = 20_000
 #: Score from which a document counts as of label 1.
 ACCEPT = 0.3
-MOST_WORDS_KEPT = 400_000
+MOST_WORDS_KEPT = 250_000
 _RUNS = re.compile(rb"(.)\1+", re.S)
 _SHAPE = bytes(97 if 97 <= b <= 122 or b >= 128 else 65 if 65 <= b <= 90 else 48 if 48 <= b <= 57 else b for b in range(256))
 
@@ -52,21 +52,22 @@ class Reader:
     """Turns texts into word buckets and shape buckets; keeps what it has seen of the vocabulary."""
 
     def __init__(self):
-        self.seen: dict[bytes, tuple[int, int]] = {}
+        self.seen: dict[bytes, int] = {}
 
-    def look(self, word: bytes) -> tuple[int, int]:
+    def look(self, word: bytes) -> int:
+        """The word's bucket times BUCKETS, plus its shape's bucket."""
         found = self.seen.get(word)
         if found is None:
             if len(self.seen) >= MOST_WORDS_KEPT:
                 self.seen.clear()
             shape = _RUNS.sub(rb"\1", word.translate(_SHAPE))
-            found = self.seen[word] = (xxhash.xxh3_64_intdigest(word.translate(ASCII_LOWER)) % BUCKETS, xxhash.xxh3_64_intdigest(shape) % BUCKETS)
+            found = self.seen[word] = xxhash.xxh3_64_intdigest(word.translate(ASCII_LOWER)) % BUCKETS * BUCKETS + xxhash.xxh3_64_intdigest(shape) % BUCKETS
         return found
 
     def read(self, raw: bytes) -> tuple[np.ndarray, np.ndarray]:
         words = raw.split()
-        both = np.array(list(map(self.look, words)), dtype=np.int64).reshape(len(words), 2)
-        return both[:, 0], both[:, 1]
+        both = np.fromiter(map(self.look, words), dtype=np.int64, count=len(words))
+        return both // BUCKETS, both % BUCKETS
 
 
 def _context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
