@@ -88,6 +88,11 @@ def near_duplicates(docs: DataFrame, near: int = 2) -> DataFrame:
 
 def one_of_each(docs: DataFrame, near: int = 2) -> DataFrame:
     """The rows of docs whose document stands for its component, each document once, with all their columns."""
-    keep = near_duplicates(docs, near).filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_keep")).distinct().hint("merge")  # grows with docs
+    return standing(docs, near_duplicates(docs, near))
+
+
+def standing(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """The rows of docs whose doc_id is the component_id of its row in found, each document once."""
+    keep = found.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_keep")).distinct().hint("merge")  # grows with docs
     met = docs.join(keep, docs["doc_id"].eqNullSafe(keep["_keep"]), "left_semi")
     return met.withColumn("_turn", F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64("text")))).filter("_turn = 1").drop("_turn")
