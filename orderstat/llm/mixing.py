@@ -4,7 +4,7 @@ Documents are counted by membership pattern (the set of sources that hold them).
 nothing, a second time at a price and a third at a higher price; each source asks for its target. The cheapest flow says
 how many words of a pattern each source takes. A pattern's words are then whole repetitions of all its documents, and the
 rest by a seeded order: documents come by the hash of their id, whole buckets of that order first and single documents in
-the buckets where the rest ends, passing over those too large for what is left.
+the buckets where the rest ends, passing over those too large for what is left, until none is left that fits.
 
 The flow has a vertex per pattern and per source. Both are collected to the driver behind a check of their number.
 
@@ -137,19 +137,14 @@ def mixed(docs: DataFrame, sources: Column | None = None, weights: tuple[int, ..
 def _filled(rows: DataFrame, rests: DataFrame) -> DataFrame:
     """rows with more set for documents in seeded order, as far as their pattern's rest has room.
 
-    Whole buckets come first. From the bucket where the rest ends on, a zone of that bucket and about ZONE documents after it is
-    gone through one by one, leaving out what no longer fits.
+    Rounds: whole buckets come first; from the bucket where the rest ends on, a zone of that bucket and about ZONE documents after it is
+    gone through one by one, leaving out what no longer fits; the next round takes what is left to the buckets after the zone. A
+    bucket whose smallest document is too large for what is left is passed over. Rounds end when no undecided document fits.
     """
-    ends = rows.filter("size > 0").groupBy("pattern", "bucket").agg(F.sum("size").alias("n"), F.count("*").alias("docs")).join(rests, "pattern")
+    ends = rows.filter("size > 0").groupBy("pattern", "bucket").agg(F.sum("size").alias("n"), F.count("*").alias("docs"), F.min("size").alias("least"))
+    ends = ends.join(rests.withColumnRenamed("rest", "left"), "pattern")
     # At most BUCKETS rows a pattern, so the running sums of a hot source are as small as any.
     order, whole = Window.partitionBy("pattern").orderBy("bucket"), Window.partitionBy("pattern")
-    ends = ends.withColumn("upto", F.sum("n").over(order)).withColumn("seen", F.sum("docs").over(order)).withColumn("inside", F.col("upto") <= F.col("rest"))
-    ends = ends.withColumn("left", F.col("rest") - F.coalesce(F.max(F.when(F.col("inside"), F.col("upto"))).over(whole), F.lit(0)))
-    ends = ends.withColumn("past", F.col("seen") - F.col("docs") - F.min(F.when(~F.col("inside"), F.col("seen") - F.col("docs"))).over(whole))
-    zone = ~F.col("inside") & (F.col("left") > 0) & (F.col("past") < ZONE)
-    ends = ends.select("pattern", "bucket", "inside", zone.alias("zone"), "left").filter("inside or zone")
-    met = rows.join(ends, ["pattern", "bucket"], "left")
-    near = F.coalesce(F.col("zone") & (F.col("size") > 0), F.lit(False))
 
     def fit(part: pd.DataFrame) -> pd.DataFrame:
         part = part.sort_values(["bucket", "turn", "doc_id", "size"], kind="stable")
@@ -159,9 +154,27 @@ def _filled(rows: DataFrame, rests: DataFrame) -> DataFrame:
             left -= size if size <= left else 0
         return part.assign(more=more)[["doc_id", "pattern", "size", "bucket", "more"]]
 
-    edge = met.filter(near).withColumn("turn", F.xxhash64("doc_id", "bucket")).groupBy("pattern").applyInPandas(fit, "doc_id long, pattern string, size long, bucket int, more boolean")
+    decided, edges = None, None
+    while True:
+        ends = stored(ends.filter("least <= left"), "ends")
+        if ends.isEmpty():
+            break
+        upto = ends.withColumn("upto", F.sum("n").over(order)).withColumn("seen", F.sum("docs").over(order)).withColumn("inside", F.col("upto") <= F.col("left"))
+        upto = upto.withColumn("left", F.col("left") - F.coalesce(F.max(F.when(F.col("inside"), F.col("upto"))).over(whole), F.lit(0)))
+        upto = upto.withColumn("past", F.col("seen") - F.col("docs") - F.min(F.when(~F.col("inside"), F.col("seen") - F.col("docs"))).over(whole))
+        marks = stored(upto.withColumn("zone", ~F.col("inside") & (F.col("left") > 0) & (F.col("past") < ZONE)).select("pattern", "bucket", "n", "docs", "least", "left", "inside", "zone"), "marks")
+        zone = rows.filter("size > 0").join(marks.filter("zone").select("pattern", "bucket", "left"), ["pattern", "bucket"])
+        edge = stored(zone.withColumn("turn", F.xxhash64("doc_id", "bucket")).groupBy("pattern").applyInPandas(fit, "doc_id long, pattern string, size long, bucket int, more boolean"), "zone")
+        now = marks.filter("inside or zone").select("pattern", "bucket", "inside", "zone")
+        decided, edges = (now, edge) if decided is None else (decided.unionByName(now), edges.unionByName(edge))
+        spent = edge.filter("more").groupBy("pattern").agg(F.sum("size").alias("spent"))
+        ends = marks.filter("not inside and not zone").join(spent, "pattern", "left").select("pattern", "bucket", "n", "docs", "least", (F.col("left") - F.coalesce("spent", F.lit(0))).alias("left"))
+    if decided is None:
+        return rows.select("doc_id", "pattern", "size", "bucket", F.lit(False).alias("more"))
+    met = rows.join(decided, ["pattern", "bucket"], "left")
+    near = F.coalesce(F.col("zone") & (F.col("size") > 0), F.lit(False))
     rest = met.filter(~near).withColumn("more", F.coalesce(F.col("inside"), F.lit(False)) & (F.col("size") > 0))
-    return rest.select("doc_id", "pattern", "size", "bucket", "more").unionByName(edge)
+    return rest.select("doc_id", "pattern", "size", "bucket", "more").unionByName(edges)
 
 
 def repeated(docs: DataFrame, **how) -> DataFrame:
