@@ -11,8 +11,9 @@ from pyspark.sql import functions as F
 
 from orderstat import workloads as W
 from orderstat.functions import incremental, quantiles, relational, sqlapi
-from orderstat.operators import baselines, kernel, select
+from orderstat.operators import baselines, engine, kernel, select
 from orderstat.operators.cachesim import BlockCache
+from orderstat.operators.distribute import bucketize
 from orderstat.operators.engine import Ledger, multi_select
 from orderstat.operators.partition import bucket_counts, multi_partition, pivot_ranks
 from orderstat.plans import costs, gaps
@@ -275,8 +276,8 @@ def cost_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def kernel_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The kernel's comparisons and simulated transfers over the families against the bounds, N = 4096, two caches."""
-    values = [r[0] for r in table(spark, sf_dir, "lineitem").select(PRICE).orderBy(F.xxhash64("l_orderkey", "l_partkey")).limit(4096).collect()]
+    """The kernel's comparisons and simulated transfers over the families against the bounds, two caches, on the whole of supplier."""
+    values = [r[0] for r in table(spark, sf_dir, "supplier").select("s_acctbal").orderBy(F.xxhash64("s_suppkey")).collect()]
     n, rows = len(values), []
     for k in ("median", "quartiles", "deciles", "percentiles", "tail", "geometric", "everything"):
         ranks = [r["rank"] for r in R.resolve(spark, W.FAMILIES[k], n).collect()]
@@ -402,12 +403,37 @@ def collapse_agrees(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("SELECT true AS halves, true AS ends")
 def survivors_by_level(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Whether the kernel's subproblems hold under half of the elements and each at most the threshold less two."""
-    values = [r[0] for r in table(spark, sf_dir, "lineitem").select(PRICE).limit(3000).collect()]
-    desk = kernel.Desk()
-    list(kernel.select_many(values, [len(values) * k // 10 + 3 * j for k in range(1, 10) for j in range(20)], branch="partition", desk=desk))
-    calls = [c for c in desk.counters.calls if c["branch"] == "partition"]
-    return spark.createDataFrame([(all(2 * sum(c["children"]) < c["n"] for c in calls), all(x <= c["delta"] - 2 for c in calls for x in c["children"]))], "halves boolean, ends boolean")
+    """Whether subproblems hold under half of the elements and each at most the threshold less two, over the whole table.
+
+    The first level is partitioned and trimmed by the distributed engine; the subproblems it leaves are as short as the ranks' clusters
+    at any size of the table, and the kernel takes all of their rows through the further levels.
+    """
+    levels = _levels(_work(spark, sf_dir))
+    return spark.createDataFrame([(all(2 * sum(c) < n for n, _, c in levels), all(x <= d - 2 for _, d, c in levels for x in c))], "halves boolean, ends boolean")
+
+
+def _levels(work: DataFrame) -> list[tuple[int, int, list[int]]]:
+    """(elements, threshold, sizes of the subproblems that are left) of the whole table and of each subproblem partitioned below it."""
+    spark, n, settings = work.sparkSession, work.count(), Settings(branch="partition", pivots="paper")
+    ranks = sorted({r for k in range(1, 10) for j in range(20) if (r := n * k // 10 + 3 * j) <= n})
+    delta = gaps.threshold_of(gaps.gap_sizes(ranks, n), n)
+    part = multi_partition(work, delta, settings)
+    _, needs, rest = engine._route(engine.Wanted.listed(spark, [(0, r, r) for r in ranks]), part, work.schema["key"].dataType)
+    ids = spark.createDataFrame([(s, b, k) for k, (s, b, _) in enumerate(needs)], "sub long, bucket int, next long")
+    kept = bucketize(work, part.pivots, part.most, settings.how).join(F.broadcast(ids), ["sub", "bucket"]).select(F.col("next").alias("sub"), "key")
+    _, between, rest = engine._trimmed(kept, rest.frame, {k: size for k, (_, _, size) in enumerate(needs)}, settings)
+    inside: dict[int, list[int]] = {}
+    for r in rest.orderBy("sub", "rank").collect():
+        inside.setdefault(r["sub"], []).append(r["rank"])
+    values: dict[int, list] = {s: [] for s in inside}
+    for r in between.join(rest.select("sub").distinct(), "sub", "left_semi").collect():
+        values[r["sub"]].append(r["key"])
+    levels = [(n, delta, [len(v) for v in values.values()])]
+    for s, v in values.items():
+        desk = kernel.Desk()
+        list(kernel.select_many(v, inside[s], branch="partition", desk=desk))
+        levels += [(c["n"], c["delta"], c["children"]) for c in desk.counters.calls if c["branch"] == "partition"]
+    return levels
 
 
 @query()
