@@ -5,11 +5,11 @@ vectors of the words next to it, which gives the context vectors; buckets and di
 size at any input. A document is the mean of its words' context vectors beside the mean of the index vectors of their
 shapes (runs of upper case, lower case, digits and marks) and of a sign for a word that repeats the one before.
 
-The network is fitted on the driver on at most MOST_LABELLED labelled rows, a seeded choice; a part of them is kept from
-the fit and sets the temperature that makes the output a probability.
+The network is fitted on the driver on at most MOST_LABELLED labelled rows, a seeded choice. Two parts of them are kept from
+the fit: one chooses the epoch, the other sets the temperature that makes the output a probability.
 
 Cases: null and empty texts are pooled as a zero vector and scored like any other; labels that are null or whose doc_id is
-null teach nothing; a doc_id labelled twice takes the higher label; with no labels, or one class only, every score is the
+null teach nothing; a doc_id labelled twice takes the higher label, and one that stands in several rows teaches its least text; with no labels, or one class only, every score is the
 share of label 1 (0.5 without any); repeated rows give repeated rows; other columns are ignored; an empty table gives an
 empty one.
 """
@@ -28,7 +28,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from orderstat.llm.common import ASCII_LOWER, id_and_text, pieces, raw_texts, stored
+from orderstat.llm.common import ASCII_LOWER, id_and_text, lean, pieces, raw_texts, stored
 
 BUCKETS, DIMS, SIGNS = 1 << 14, 32, 2
 MOST_LABELLED = 20_000
@@ -95,8 +95,8 @@ def _add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def context_vectors(docs: DataFrame, ways: int = 12) -> np.ndarray:
     """The table of context vectors over all documents, rows of length one; sums are whole numbers, so any order gives the same."""
-    parts = stored(id_and_text(docs).select("text").mapInArrow(_context, "part long, sums binary"), "contexts")
-    rows = parts.repartition(ways, "part").mapInArrow(_add, "part long, sums binary").toLocalIterator()  # one table at a time
+    parts = stored(id_and_text(docs).select("text").mapInArrow(lean(_context), "part long, sums binary"), "contexts")
+    rows = parts.repartition(ways, "part").mapInArrow(lean(_add), "part long, sums binary").toLocalIterator()  # one table at a time
     total = np.zeros(BUCKETS * DIMS)
     for r in rows:
         total += np.frombuffer(r["sums"], dtype=np.float64)
@@ -148,7 +148,8 @@ def fit(x: np.ndarray, y: np.ndarray, hidden: int = 24, epochs: int = 60, seed:
         return Network(np.zeros(d), np.ones(d), np.zeros((d, 1)), np.zeros(1), np.zeros(1), float(np.log(share / (1 - share))))
     rng = np.random.default_rng(seed)
     order = rng.permutation(len(y))
-    held, used = order[: len(y) // 5], order[len(y) // 5 :]
+    chosen, held, used = np.split(order, [len(y) // 10, len(y) // 5])
+    chosen, held = (chosen, held) if len(chosen) and len(held) else (order, order)
     net = Network(x[used].mean(axis=0), x[used].std(axis=0) + 1e-3, rng.normal(0, 0.2, (x.shape[1], hidden)), np.zeros(hidden), rng.normal(0, 0.2, hidden), 0.0)
     xs = (x - net.mean) / net.scale
     weights = [net.w1, net.b1, net.w2, np.zeros(1)]
@@ -166,9 +167,9 @@ def fit(x: np.ndarray, y: np.ndarray, hidden: int = 24, epochs: int = 60, seed:
                 m += 0.1 * (d - m)
                 v += 0.01 * (d * d - v)
                 w -= 0.005 * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)
-        z = np.tanh(xs[held] @ weights[0] + weights[1]) @ weights[2] + weights[3]
-        if _loss(z, y[held]) < best[0]:
-            best = (_loss(z, y[held]), [w.copy() for w in weights])
+        z = np.tanh(xs[chosen] @ weights[0] + weights[1]) @ weights[2] + weights[3]
+        if _loss(z, y[chosen]) < best[0]:
+            best = (_loss(z, y[chosen]), [w.copy() for w in weights])
     net.w1, net.b1, net.w2, b2 = best[1]
     net.b2 = float(b2[0])
     z = net.logit(x[held])
@@ -206,7 +207,8 @@ def learn(docs: DataFrame, labels: DataFrame, most_labelled: int = MOST_LABELLED
             x = pool(raw_texts(batch.column("text")), *shipped.value, reader)
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "quality": batch.column("quality"), "x": pa.array(list(x.astype(np.float64)), pa.list_(pa.float64()))})
 
-    rows = text.join(F.broadcast(taught), "doc_id").dropDuplicates(["doc_id"]).mapInArrow(pooled, "doc_id long, quality int, x array<double>").toPandas().sort_values("doc_id")
+    rows = text.join(F.broadcast(taught), "doc_id").groupBy("doc_id", "quality").agg(F.min("text").alias("text")).mapInArrow(lean(pooled), "doc_id long, quality int, x array<double>").toPandas().sort_values("doc_id")
+    shipped.destroy()
     net = fit(np.array(rows["x"].tolist()).reshape(len(rows), 2 * DIMS + 1), rows["quality"].to_numpy(dtype=float))
     return Model(vectors, shapes, net)
 
@@ -220,7 +222,7 @@ def scores(docs: DataFrame, model: Model) -> DataFrame:
         for batch in pieces(batches):
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "score": shipped.value.score(raw_texts(batch.column("text")), reader)})
 
-    return text.mapInArrow(scored, "doc_id long, score double")
+    return text.mapInArrow(lean(scored), "doc_id long, score double")
 
 
 def taught(labels: DataFrame, folds: int = 5) -> DataFrame:
@@ -243,7 +245,7 @@ def accepted(docs: DataFrame, labels: DataFrame, accept: float = ACCEPT) -> Data
         for batch in pieces(batches):
             yield batch.filter(pa.array(shipped.value.score(raw_texts(batch.column("text")), reader) >= accept))
 
-    return docs.mapInArrow(keep, docs.schema)
+    return docs.mapInArrow(lean(keep), docs.schema)
 
 
 def fold(doc_id: int, folds: int = 5) -> int:

@@ -2,10 +2,15 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 from collections.abc import Callable, Iterable, Iterator
+from functools import wraps
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -54,6 +59,44 @@ def _lengths(column: pa.Array) -> bytes:
     return np.asarray(pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)).astype(np.int64).tobytes()
 
 
+_held: dict = {}
+_stage: list[int] = []
+
+
+def held_for_stage(name: tuple, make: Callable):
+    """What make gives, kept by this worker for the tasks of one stage: the first task of another stage drops it (lean)."""
+    if name not in _held:
+        _held[name] = make()
+    return _held[name]
+
+
+def _give_back() -> None:
+    """Free memory of this worker goes back to the system, so that idle workers do not hold what a busy one needs."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # glibc only
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """run as a mapInArrow function that begins without what other stages left in the worker and ends by giving memory back."""
+
+    @wraps(run)
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at = TaskContext.get()
+        stage = [at.stageId()] if at is not None else []
+        if stage != _stage:
+            _held.clear()
+            _stage[:] = stage
+            gc.collect()
+            _give_back()
+        try:
+            yield from run(batches)
+        finally:
+            _give_back()
+
+    return task
+
+
 def by_doc(work: Callable[[list, list[bytes]], dict[str, list]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """A mapInArrow function from one that takes ids and raw texts and returns columns."""
 
@@ -62,7 +105,7 @@ def by_doc(work: Callable[[list, list[bytes]], dict[str, list]]) -> Callable[[It
             out = work(batch.column("doc_id").to_pylist(), raw_texts(batch.column("text")))
             yield pa.RecordBatch.from_pydict(out)
 
-    return run
+    return lean(run)
 
 
 def small_enough(df: DataFrame, rows: int) -> bool:
@@ -87,24 +130,22 @@ def local_components(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return label
 
 
-def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """Connected components of edges (a, b): one row (node, root) for each vertex with an edge, root the smallest.
 
     Alternates two rewiring steps over the whole edge list; both are a minimum per vertex (combined before the shuffle)
-    and a join, so no vertex's neighbours are ever gathered. Every round is written to the shared folder.
+    and a join, so no vertex's neighbours are ever gathered. Every round is written to the shared folder. Rounds go on until every
+    edge is a star's; their number grows with the logarithm of the longest path.
     """
     now = stored(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
-    for _ in range(most_rounds):
+    while True:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
         wide = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
         least = wide.groupBy("a").agg(F.min("b").alias("m"))
         near = wide.join(least, "a")
         near = near.select(F.explode(F.array(F.struct(F.col("a"), F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e")).select("e.*").filter("a <> b").distinct()
-        after = stored(near, "edges")
+        now = stored(near, "edges")
         # Finished when every edge is a star's: no centre hangs on another vertex, and no vertex on two centres.
-        done = after.select(F.col("b").alias("a")).join(after, "a", "left_semi").isEmpty() and after.count() == after.select("a").distinct().count()
-        now = after
-        if done:
+        if now.select(F.col("b").alias("a")).join(now, "a", "left_semi").isEmpty() and now.count() == now.select("a").distinct().count():
             return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
-    raise RuntimeError(f"components did not settle in {most_rounds} rounds")

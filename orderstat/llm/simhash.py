@@ -9,7 +9,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from itertools import repeat
+from itertools import combinations, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -17,11 +17,11 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from orderstat.llm.common import ASCII_LOWER, by_doc, components, id_and_text, stored
-from orderstat.llm.vptree import Router, near_edges
+from orderstat.llm.common import ASCII_LOWER, by_doc, components, id_and_text, lean, stored
+from orderstat.llm.vptree import Forest, near_edges
 
-#: Members aimed at in a shard, and fingerprints sampled for the tree above the shards.
-SHARD, SAMPLE = 8192, 65536
+#: Members aimed at in a shard, fingerprints sampled for the trees above the shards, and how much fuller a shard is split.
+SHARD, SAMPLE, DENSE = 8192, 65536, 16
 
 
 def simhash(text: bytes, width: int = 3) -> int:
@@ -53,27 +53,45 @@ def links(prints: DataFrame, near: int = 2, shard: int = SHARD) -> DataFrame:
     n = prints.count()
     depth = max(0, math.ceil(math.log2(max(1, n / shard))))
     some = prints.sample(fraction=min(1.0, 2.0 * SAMPLE / max(1, n)), seed=3).limit(SAMPLE).toPandas()["fp"].to_numpy(dtype=np.int64)
-    router = spark.sparkContext.broadcast(Router(np.sort(some).view(np.uint64), depth, near))
+    forest = spark.sparkContext.broadcast(Forest(np.sort(some).view(np.uint64), depth, near))
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             fp = np.asarray(batch.column("fp")).astype(np.int64)
             for k in range(0, len(fp), 1 << 15):
                 part = fp[k : k + (1 << 15)]
-                where, at, guest = router.value.route(part.view(np.uint64))
-                yield pa.RecordBatch.from_pydict({"shard": where.astype(np.int64), "fp": part[at], "guest": guest})
-
-    def join(_, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = pa.Table.from_batches(list(batches))
-        fp, guest = rows.column("fp").to_numpy().astype(np.int64), rows.column("guest").to_numpy()
-        every = np.concatenate([fp[~guest], np.unique(fp[guest])])
-        a, b = near_edges(every[: int((~guest).sum())].view(np.uint64), every[int((~guest).sum()) :].view(np.uint64), near)
-        yield pa.RecordBatch.from_pydict({"a": every[a], "b": every[b]})
-
-    def join_group(table: pa.Table) -> pa.Table:
-        return pa.Table.from_batches(list(join(None, iter(table.to_batches())))) if table.num_rows else pa.table({"a": pa.array([], pa.int64()), "b": pa.array([], pa.int64())})
-
-    return prints.mapInArrow(deal, "shard long, fp long, guest boolean").groupBy("shard").applyInArrow(join_group, "a long, b long")
+                where, at = forest.value.route(part.view(np.uint64))
+                yield pa.RecordBatch.from_pydict({"shard": where.astype(np.int64), "fp": part[at]})
+
+    def join(table: pa.Table) -> pa.Table:
+        every = table.column("fp").to_numpy().astype(np.int64)
+        a, b = near_edges(every.view(np.uint64), np.zeros(0, dtype=np.uint64), near)
+        return pa.table({"a": every[a], "b": every[b]})
+
+    dealt = prints.mapInArrow(lean(deal), "shard long, fp long")
+    if not depth:
+        return dealt.groupBy("shard").applyInArrow(join, "a long, b long")
+    dealt = stored(dealt, "dealt")
+    # Shards that are much fuller than planned hold close fingerprints by the thousand; there are at most n / (DENSE * shard) a tree.
+    dense = stored(dealt.groupBy("shard").agg(F.count("*").alias("n")).filter(F.col("n") > DENSE * shard).select("shard"), "dense")
+    even = dealt.join(F.broadcast(dense), "shard", "left_anti").groupBy("shard").applyInArrow(join, "a long, b long")
+    return even.unionByName(crowd_links(dealt.join(F.broadcast(dense), "shard", "left_semi").select("fp").distinct(), near))
+
+
+def crowd_links(prints: DataFrame, near: int) -> DataFrame:
+    """The same edges for fingerprints that crowd together, without comparing all pairs and without a task that holds a crowd.
+
+    Two fingerprints are within near bits only if some value lies within half of near, rounded up, of both. Every fingerprint names all
+    values in that reach, so a value meets at most as many fingerprints as there are such values: 65 for two bits.
+    """
+    reach = (near + 1) // 2
+    masks = [sum(1 << b for b in bits) for k in range(reach + 1) for bits in combinations(range(64), k)]
+    signed = F.array([F.lit(int(np.uint64(m).astype(np.int64))) for m in masks])
+    met = prints.select("fp", F.explode(F.transform(signed, lambda m: F.col("fp").bitwiseXOR(m))).alias("value")).groupBy("value").agg(F.array_sort(F.collect_list("fp")).alias("fps")).filter("size(fps) > 1")
+    if near % 2 == 0:  # all that meet are within near bits: the least of them connects them
+        return met.select(F.explode(F.slice("fps", 2, len(masks))).alias("a"), F.col("fps")[0].alias("b")).distinct()
+    pairs = met.select(F.explode("fps").alias("a"), "fps").select("a", F.explode("fps").alias("b")).filter("b < a")
+    return pairs.filter(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= near).distinct()
 
 
 def near_duplicates(docs: DataFrame, near: int = 2) -> DataFrame:

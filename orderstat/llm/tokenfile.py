@@ -27,13 +27,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from orderstat.llm.common import id_and_text, pieces, raw_texts, shared_dir
+from orderstat.llm.common import held_for_stage, id_and_text, lean, pieces, raw_texts, shared_dir
 from orderstat.llm.rans import Coder, Table, crc
 from orderstat.llm.tokens import byte_letters, load
 
 SEGMENT, BLOCK = 4_000_000, 500_000
-#: Words and pieces kept in a generation, by worker: a word not kept costs its split, a piece not kept a merge.
-WORDS_KEPT, PIECES_KEPT = 300_000, 300_000
+#: Words kept in each of two generations, by worker, about 150 bytes each: a word not kept costs its split and merges.
+WORDS_KEPT = 250_000
 _BLOCK = "struct<doc_ids:array<long>,counts:array<long>,n:long,lanes:int,stream:binary,checkpoints:binary,stream_crc:long,ids_crc:long>"
 SCHEMA = f"part int, segment int, start long, n_tokens long, freq_table binary, blocks array<{_BLOCK}>"
 
@@ -70,29 +70,31 @@ class Recent(dict):
 class WordIds:
     """Ids of texts as bytes. White space parts words in this vocabulary's tokenizer, so a word's ids do not depend on its neighbours.
 
-    Words and their pieces are kept; the library's model merges a piece it has not met lately, and its whole pipeline encodes words
-    of characters that PLAIN leaves out and texts with an added token's string.
+    Words and the pieces within them are kept alike; the library's model merges a piece it has not met lately, and its whole
+    pipeline encodes words of characters that PLAIN leaves out and texts with an added token's string.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, most: int | None = None):
         self.tokenizer, self.letters, self.pattern = load(path), byte_letters(), regex.compile(PIECES)
         self.added = [a.content.encode() for a in self.tokenizer.get_added_tokens_decoder().values()]
-        self.pieces, self.words = Recent(self._piece, PIECES_KEPT), Recent(self._word, WORDS_KEPT)
+        self.words = Recent(self._word, most or WORDS_KEPT)
 
-    def _piece(self, piece: bytes) -> bytes:
-        # The letters a-z stand for themselves.
-        made = self.tokenizer.model.tokenize(piece.decode() if piece.isalpha() else "".join(map(self.letters.__getitem__, piece)))
-        return _packed([t.id for t in made])
+    def _merged(self, letters: str) -> bytes:
+        return _packed([t.id for t in self.tokenizer.model.tokenize(letters)])
 
     def _word(self, low: bytes) -> bytes:
-        if low.isalpha():  # a-z alone: one piece
-            return self.pieces[low]
-        if low[:-1].isalpha() and low[-1] in MARKS:
-            return self.pieces[low[:-1]] + self.pieces[low[-1:]]
+        if low.isalpha():  # a-z alone: one piece, whose letters stand for themselves
+            return self._merged(low.decode())
+        if low[-1] in MARKS and low[:-1].isalpha():
+            return self.words[low[:-1]] + self.words[low[-1:]]
         text = low.decode()
-        if PLAIN.fullmatch(text):
-            return b"".join([self.pieces[p.encode()] for p in self.pattern.findall(text.lower())])
-        return self._whole(low)
+        if not PLAIN.fullmatch(text):
+            return self._whole(low)
+        text = text.lower()
+        parts = self.pattern.findall(text)
+        if parts == [text]:
+            return self._merged("".join(map(self.letters.__getitem__, text.encode())))
+        return b"".join([self.words[p.encode()] for p in parts])
 
     def _whole(self, raw: bytes) -> bytes:
         return _packed(self.tokenizer.encode(raw.decode(), add_special_tokens=False).ids)
@@ -104,15 +106,6 @@ class WordIds:
         return b"".join(map(self.words.__getitem__, low.split()))
 
 
-_words: dict[str, WordIds] = {}
-
-
-def word_ids(path: str) -> WordIds:
-    if path not in _words:
-        _words[path] = WordIds(path)
-    return _words[path]
-
-
 def pack_segment(docs: list[tuple[int | None, np.ndarray]]) -> tuple[bytes, list[dict]]:
     counts: np.ndarray = np.zeros(1, dtype=np.int64)
     for k in range(0, len(docs), 4096):
@@ -138,7 +131,7 @@ def _writer(path: str, end_id: int):
     schema = pa.schema([("part", pa.int32()), ("segment", pa.int32()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("freq_table", pa.binary()), ("blocks", pa.list_(block))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, end = word_ids(path), np.array([end_id], dtype="<u4").tobytes()
+        words, end = held_for_stage(("ids", path), lambda: WordIds(path)), np.array([end_id], dtype="<u4").tobytes()
         part, segment, start, held, size = TaskContext.get().partitionId(), 0, 0, [], 0
 
         def row() -> pa.RecordBatch:
@@ -156,7 +149,7 @@ def _writer(path: str, end_id: int):
         if held:
             yield row()
 
-    return run
+    return lean(run)
 
 
 def write(docs: DataFrame, path: str, tokenizer: str, end_id: int) -> None:
@@ -189,7 +182,7 @@ def _reader(with_ids: bool):
                     at += n
                     yield pa.RecordBatch.from_pydict(out)
 
-    return run
+    return lean(run)
 
 
 def read(spark, path: str, with_ids: bool = False) -> DataFrame:

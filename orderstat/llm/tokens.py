@@ -10,6 +10,7 @@ Cases: null and empty text have no bytes and no tokens; repeated rows give repea
 
 from __future__ import annotations
 
+import json
 import os
 from collections import Counter
 
@@ -18,13 +19,14 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from orderstat.llm.common import by_doc, id_and_text
+from orderstat.llm.common import by_doc, held_for_stage, id_and_text
 
 #: Fixed value: the public pattern by which this vocabulary's pre-tokenizer splits text.
 PIECES = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-#: A character outside the code points in which both engines' classes were checked to agree (tests/llm/test_tokens.py).
+#: A character outside the code points in which both engines' classes were checked to agree (tests/llm/test_operators.py).
 UNCHECKED = "[^\\x00-\u0557\u0900-\u0bff\u2000-\u2089\u20a0-\u2bff\u3000-\ua48c\uac00-\ud7a3\U0001f000-\U0001faff]"
-MOST_KEPT = 400_000
+#: Merged pieces whose counts a worker keeps, about 100 bytes each.
+MOST_KEPT = 250_000
 
 
 def byte_letters() -> dict[int, str]:
@@ -41,6 +43,14 @@ def load(path: str):
     return Tokenizer.from_file(path)
 
 
+def splits_as_pieces(path: str) -> bool:
+    """Whether the file's tokenizer splits untouched text by the pattern PIECES, as its byte-level form states it."""
+    with open(path, encoding="utf-8") as f:
+        told = json.load(f)
+    split = told.get("pre_tokenizer") or {}
+    return told.get("normalizer") is None and split.get("type") == "ByteLevel" and split.get("use_regex", True) and not split.get("add_prefix_space") and told["model"]["type"] == "BPE" and not told["model"].get("dropout")
+
+
 def whole_tokens(path: str) -> frozenset[str]:
     """Texts of the vocabulary's strings that the merges turn into exactly that one token and that are one piece."""
     t, back = load(path), {c: b for b, c in byte_letters().items()}
@@ -87,17 +97,14 @@ class Counting:
         return total
 
 
-_counting: dict[str, Counting] = {}
-
-
 def token_counts(docs: DataFrame, path: str, limit: int = 512) -> DataFrame:
     """(doc_id, n_bytes, n_tokens, over_limit) for each row of docs; path is a byte-level BPE file for the tokenizers library."""
+    if not splits_as_pieces(path):
+        raise ValueError(f"{path} does not split text by the byte-level pattern that the whole-token table is proven for")
     shipped = docs.sparkSession.sparkContext.broadcast(whole_tokens(path))  # bounded by the vocabulary
 
     def work(ids: list, texts: list[bytes]) -> dict[str, list]:
-        if path not in _counting:
-            _counting[path] = Counting(path, shipped.value)
-        count = _counting[path].count
+        count = held_for_stage(("counts", path), lambda: Counting(path, shipped.value)).count
         return {"doc_id": pa.array(ids, pa.int64()), "n_bytes": pa.array([len(t) for t in texts], pa.int64()), "n_tokens": pa.array([count(t.decode("utf-8", "replace")) for t in texts], pa.int64())}
 
     out = id_and_text(docs).mapInArrow(by_doc(work), "doc_id long, n_bytes long, n_tokens long")

@@ -1,8 +1,12 @@
 """Vantage-point trees over 64-bit fingerprints under Hamming distance.
 
-The upper levels are built on the driver from a bounded sample and shipped to every task; they send each fingerprint to
-one shard as a member and, as a guest, to shards that the triangle inequality cannot exclude. Within a shard the tree goes
-on down to small blocks.
+The upper levels are built on the driver from a bounded sample and shipped to every task; they send each fingerprint to shards.
+Over all 64 bits a fingerprint also visits, as a guest, every shard that the triangle inequality cannot exclude, and guests
+multiply by the level: unrelated fingerprints lie around 32 bits apart, so a band of two bits holds a good part of them all.
+The bits are therefore dealt to near + 1 blocks, and a tree stands over the distances within each block. Fingerprints within
+near bits agree on some block, where their distance is 0 and the triangle bound excludes every other branch: they share
+a shard of that tree, and a fingerprint is in near + 1 shards at any depth. Within a shard a tree over all bits goes on down to small
+blocks, with guests across the boundaries.
 """
 
 from __future__ import annotations
@@ -14,21 +18,46 @@ from orderstat.llm.common import local_components
 BLOCK = 192
 
 
+def _halving(d: np.ndarray) -> int:
+    """The radius with nearest to half of the distances within it."""
+    within = np.cumsum(np.bincount(d, minlength=65))
+    return int(np.abs(2 * within - len(d)).argmin())
+
+
+def blocks(near: int) -> list[np.uint64]:
+    """Masks of near + 1 blocks of bits, every (near + 1)-th bit each, so that a fingerprint's parts are alike in all."""
+    return [np.uint64(sum(1 << b for b in range(j, 64, near + 1))) for j in range(near + 1)]
+
+
+class Forest:
+    """A tree for each block of bits, whose shards are numbered one after the other."""
+
+    def __init__(self, sample: np.ndarray, depth: int, near: int):
+        self.depth, self.masks = depth, blocks(near) if depth else [~np.uint64(0)]
+        self.trees = [Router(np.unique(sample & mask), depth, 0, mask=mask) for mask in self.masks]
+
+    def route(self, prints: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(shard, index into prints), a member of each."""
+        found = [tree.route(prints & mask)[:2] for tree, mask in zip(self.trees, self.masks)]
+        return np.concatenate([s + (j << self.depth) for j, (s, _) in enumerate(found)]), np.concatenate([at for _, at in found])
+
+
 class Router:
     """Heap-ordered vantage points and radii; node k has children 2k+1 (within the radius) and 2k+2."""
 
-    def __init__(self, sample: np.ndarray, depth: int, near: int, seed: int = 7):
+    def __init__(self, sample: np.ndarray, depth: int, near: int, seed: int = 7, mask: np.uint64 = ~np.uint64(0)):
         rng = np.random.default_rng(seed)
         self.depth, self.near = depth, near
-        self.point = rng.integers(0, 1 << 63, size=(1 << depth) - 1, dtype=np.uint64)
-        self.radius = np.full(len(self.point), 32, dtype=np.int64)
+        self.point = rng.integers(0, 1 << 64, size=(1 << depth) - 1, dtype=np.uint64) & mask
+        middle = (int(np.bitwise_count(mask)) - 1) // 2
+        self.radius = np.full(len(self.point), middle, dtype=np.int64)
         parts = [sample]
         for k in range(len(self.point)):
             part = parts[k] if k < len(parts) else np.zeros(0, dtype=np.uint64)
             if len(part):
                 self.point[k] = part[rng.integers(len(part))]
                 d = np.bitwise_count(part ^ self.point[k])
-                self.radius[k] = int(np.median(d)) if len(part) >= 16 else 32
+                self.radius[k] = _halving(d) if len(part) >= 16 else middle
                 parts += [part[d <= self.radius[k]], part[d > self.radius[k]]]
             else:
                 parts += [part, part]
