@@ -25,11 +25,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from orderstat.llm import recompress as R
-from orderstat.llm.common import by_doc, id_and_text, pieces, raw_texts, small_enough, stored
+from orderstat.llm.common import by_doc, id_and_text, lean, pieces, raw_texts, stored
 
 ROUNDS = 6
-#: Documents to read again are broadcast, with their marks or spans, up to this many (some tens of MB); beyond, the join shuffles.
-BROADCAST_IDS = 200_000
+#: What goes with the documents to read again (ids, marks, spans) is broadcast up to so many bytes; beyond, the join shuffles.
+BROADCAST_BYTES = 64 << 20
 NOTHING = hashlib.sha256(b"").hexdigest()
 
 
@@ -87,9 +87,10 @@ def _windows(window: int):
     return run
 
 
-def read_again(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """docs joined to the rows of wanted by doc_id; a small wanted is broadcast, a large one meets docs by a shuffle."""
-    return docs.join(F.broadcast(wanted) if small_enough(wanted, BROADCAST_IDS) else wanted, "doc_id")
+def read_again(docs: DataFrame, wanted: DataFrame, held: str) -> DataFrame:
+    """docs joined to the rows of wanted (doc_id and the array held) by doc_id; broadcast where its bytes are few, else in a merge."""
+    size = wanted.agg(F.sum(F.size(held) * 8 + 48)).first()[0] or 0
+    return docs.join(F.broadcast(wanted) if size <= BROADCAST_BYTES else wanted.hint("merge"), "doc_id")
 
 
 def signatures(docs: DataFrame, window: int = 50) -> DataFrame:
@@ -110,7 +111,7 @@ def repeated_spans(docs: DataFrame, sigs: DataFrame, window: int = 50) -> DataFr
     hits = held.join(shared, "mark").groupBy("doc_id").agg(F.collect_set("mark").alias("shared"))
     loose = originals.filter("loose").select("doc_id", F.array().cast("array<long>").alias("shared"))
     again = stored(hits.unionByName(loose).groupBy("doc_id").agg(F.flatten(F.collect_list("shared")).alias("shared")), "again")
-    found = read_again(text, again).mapInArrow(_windows(window), "h1 long, h2 long, doc_id long, at int")
+    found = read_again(text, again, "shared").mapInArrow(lean(_windows(window)), "h1 long, h2 long, doc_id long, at int")
     least = found.groupBy("h1", "h2").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("z")).filter("a < z").select("h1", "h2", "a")
     least = stored(least, "least")
     return found.join(least, ["h1", "h2"]).filter("doc_id > a").groupBy("doc_id").agg(F.collect_set("at").alias("starts"))
@@ -146,7 +147,7 @@ def without_repeats(docs: DataFrame, window: int = 50) -> DataFrame:
     """
     sigs = signatures(docs, window)
     spans = stored(repeated_spans(docs, sigs, window), "spans")
-    cut = read_again(id_and_text(docs), spans).mapInArrow(_kept(window), "doc_id long, sha string, n_removed long, kept string").dropDuplicates(["doc_id", "sha"])
+    cut = read_again(id_and_text(docs), spans, "starts").mapInArrow(lean(_kept(window)), "doc_id long, sha string, n_removed long, kept string").dropDuplicates(["doc_id", "sha"])
     whole_copy = (F.col("first") < F.col("doc_id")) & (F.col("n_words") >= window)
     return sigs.select("doc_id", "n_words", "sha", "first").join(cut, ["doc_id", "sha"], "left").select(
         "doc_id",

@@ -4,11 +4,12 @@ First pass: each task reports the words that make up a share of THETA or more of
 counts. A word with twice that share of the whole language is then reported for THETA of the language at least, and at
 most 1 / THETA words are, so those are the candidates. Second pass: counts per document, with a character-class histogram
 and the counts of the candidates. The references are the sums of all documents' histograms
-by language; a document fails where its Jensen-Shannon distance (base 2) from its language is over a threshold and it is long
+by language for languages of LEAST_SHARE of all words or more, of which there are at most 1 / LEAST_SHARE, whatever the lang column
+holds; a document fails where its Jensen-Shannon distance (base 2) from its language is over a threshold and it is long
 enough to judge.
 
 Cases: null and empty texts have no words and fail the base rules; null lang is a language of its own; a language with under
-MIN_REFERENCE words is compared with the sum of all languages; repeated rows give repeated rows; other columns are
+MIN_REFERENCE words or LEAST_SHARE of all words is compared with the sum of all languages; repeated rows give repeated rows; other columns are
 ignored; an empty table gives an empty one.
 """
 
@@ -23,13 +24,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from orderstat.llm import recompress as R
-from orderstat.llm.common import ASCII_LOWER, pieces, raw_texts, stored
+from orderstat.llm.common import ASCII_LOWER, lean, pieces, raw_texts, stored
 from orderstat.llm.repeats import fingerprints
 
 #: Symbol characters of the base counts.
 SYMBOLS = b"#*$%&|<>"
 THETA = 0.001
 MIN_REFERENCE = 2000
+LEAST_SHARE = 0.001
 #: Guards: words and characters below which a document is not judged by divergence.
 MIN_WORDS, MIN_CHARS = 50, 200
 MOST_CLASS_DISTANCE, MOST_WORD_DISTANCE = 0.32, 0.55
@@ -129,28 +131,36 @@ def js_distance(p: np.ndarray, q: np.ndarray) -> np.ndarray:
 def quality_rules(docs: DataFrame) -> DataFrame:
     """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, class_distance, word_distance, kept)."""
     text = docs.select(docs["doc_id"].cast("long").alias("doc_id"), docs["text"].cast("string").alias("text"), docs["lang"].cast("string").alias("lang"))
-    told = stored(text.select("text", "lang").mapInArrow(_candidates, "lang string, word binary, n long").groupBy("lang", "word").agg(F.sum("n").alias("n")), "words")
-    whole = told.filter("word is null").select(F.col("lang").alias("of"), F.col("n").alias("whole"))
-    frequent = told.filter("word is not null").join(F.broadcast(whole), F.col("lang").eqNullSafe(F.col("of"))).filter(F.col("n") >= THETA * F.col("whole"))
-    words = {bytes(r["word"]) for r in frequent.select("word").distinct().collect()}  # at most 1 / THETA for each language
+    told = stored(text.select("text", "lang").mapInArrow(lean(_candidates), "lang string, word binary, n long").groupBy("lang", "word").agg(F.sum("n").alias("n")), "words")
+    sums = told.filter("word is null")
+    total = sums.agg(F.sum("n")).first()[0] or 0
+    own = sums.filter((F.col("n") >= MIN_REFERENCE) & (F.col("n") >= LEAST_SHARE * total)).select(F.col("lang").alias("of"), F.col("n").alias("whole"))
+    length = {r["of"]: int(r["whole"]) for r in own.collect()}  # at most 1 / LEAST_SHARE
+    own = F.broadcast(docs.sparkSession.createDataFrame(list(length.items()), "of string, whole long"))
+    found = told.filter("word is not null")
+    by_lang = found.join(own, F.col("lang").eqNullSafe(F.col("of"))).filter(F.col("n") >= THETA * F.col("whole")).select("word")
+    in_all = found.groupBy("word").agg(F.sum("n").alias("n")).filter(F.col("n") >= THETA * total).select("word")
+    words = {bytes(r["word"]) for r in by_lang.union(in_all).distinct().collect()}  # at most 1 / THETA for each of the languages and for all
     common = {w: k for k, w in enumerate(sorted(words))}
-    rows = stored(text.mapInArrow(_counts(common), "doc_id long, lang string, n_repeat_words long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_chars long, classes array<long>, which array<long>, times array<long>"), "counts")
-    by_class = rows.select("lang", F.posexplode("classes").alias("k", "n")).groupBy("lang", "k").agg(F.sum("n").alias("n")).collect()
-    by_word = rows.select("lang", F.explode(F.arrays_zip("which", "times")).alias("e")).groupBy("lang", F.col("e.which").alias("k")).agg(F.sum("e.times").alias("n")).collect()
-    length = {r["lang"]: int(r["n"]) for r in rows.groupBy("lang").agg(F.sum("n_words").alias("n")).collect()}
-    classes = {lang: np.zeros(CLASSES) for lang in length}
-    counts = {lang: np.zeros(len(common)) for lang in length}
+    rows = stored(text.mapInArrow(lean(_counts(common)), "doc_id long, lang string, n_repeat_words long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_chars long, classes array<long>, which array<long>, times array<long>"), "counts")
+    # Sums by language that has its own reference, and of the others together.
+    marked = rows.join(own, F.col("lang").eqNullSafe(F.col("of")), "left").withColumn("listed", F.col("whole").isNotNull()).withColumn("of", F.when(F.col("listed"), F.col("of")))
+    by_class = marked.select("of", "listed", F.posexplode("classes").alias("k", "n")).groupBy("of", "listed", "k").agg(F.sum("n").alias("n")).collect()
+    by_word = stored(marked.select("of", "listed", "whole", F.explode(F.arrays_zip("which", "times")).alias("e")).groupBy("of", "listed", "whole", F.col("e.which").alias("k")).agg(F.sum("e.times").alias("n")), "by-word")
+    # A reference keeps words of twice THETA of its language, at most 1 / (2 THETA) of them.
+    picked_own = by_word.filter("listed").filter(F.col("n") >= 2 * THETA * F.col("whole")).select("of", "k", "n").collect()
+    picked_all = by_word.groupBy("k").agg(F.sum("n").alias("n")).filter(F.col("n") >= 2 * THETA * max(total, 1)).orderBy("k").collect()
+    classes = {key: np.zeros(CLASSES) for key in [(None, False), *((lang, True) for lang in length)]}
     for r in by_class:
-        classes[r["lang"]][r["k"]] = r["n"]
-    for r in by_word:
-        counts[r["lang"]][r["k"]] = r["n"]
-    all_classes, all_counts, total = sum(classes.values(), np.zeros(CLASSES)), sum(counts.values(), np.zeros(len(common))), sum(length.values())
-    reference = {}
-    for lang, n in length.items():
-        own = n >= MIN_REFERENCE
-        c, w, size = (classes[lang], counts[lang], n) if own else (all_classes, all_counts, total)
-        picked = np.flatnonzero(w >= 2 * THETA * max(size, 1))
-        reference[lang] = (c, picked, np.append(w[picked], size - w[picked].sum()))
+        classes[r["of"], r["listed"]][r["k"]] = r["n"]
+
+    def reference_of(counts: list, held: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        counts = sorted(counts)
+        w = np.array([n for _, n in counts], dtype=float)
+        return held, np.array([k for k, _ in counts], dtype=np.int64), np.append(w, size - w.sum())
+
+    rest = reference_of([(r["k"], r["n"]) for r in picked_all], sum(classes.values(), np.zeros(CLASSES)), total)
+    reference = {lang: reference_of([(r["k"], r["n"]) for r in picked_own if r["of"] == lang], classes[lang, True], n) for lang, n in length.items()}
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -160,9 +170,10 @@ def quality_rules(docs: DataFrame) -> DataFrame:
             held = np.array(batch.column("classes").to_pylist(), dtype=float).reshape(n, CLASSES)
             size = np.asarray(batch.column("n_words")).astype(float)
             which, times = batch.column("which").to_pylist(), batch.column("times").to_pylist()
+            langs = [x if x in reference else False for x in langs]
             for lang in set(langs):
                 at = np.array([k for k, x in enumerate(langs) if x == lang])
-                c, picked, w = reference[lang]
+                c, picked, w = rest if lang is False else reference[lang]
                 own = np.zeros((len(at), len(picked) + 1))
                 for j, k in enumerate(at):
                     where = np.searchsorted(picked, which[k])
@@ -173,7 +184,7 @@ def quality_rules(docs: DataFrame) -> DataFrame:
                 class_d[at], word_d[at] = js_distance(held[at], c[None, :]), js_distance(own, w[None, :])
             yield pa.RecordBatch.from_pydict({k: batch.column(k) for k in ("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_chars")} | {"class_distance": class_d, "word_distance": word_d})
 
-    judged = rows.mapInArrow(judge, "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_chars long, class_distance double, word_distance double")
+    judged = rows.mapInArrow(lean(judge), "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_chars long, class_distance double, word_distance double")
     base = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
     judged_long = (F.col("n_words") >= MIN_WORDS) & (F.col("n_chars") >= MIN_CHARS)
     odd = judged_long & ((F.col("class_distance") > MOST_CLASS_DISTANCE) | (F.col("word_distance") > MOST_WORD_DISTANCE))

@@ -106,7 +106,7 @@ class WordIds:
         return b"".join(map(self.words.__getitem__, low.split()))
 
 
-def pack_segment(docs: list[tuple[int | None, np.ndarray]]) -> tuple[bytes, list[dict]]:
+def pack_segment(docs: list[tuple[int | None, np.ndarray]], block: int = BLOCK) -> tuple[bytes, list[dict]]:
     counts: np.ndarray = np.zeros(1, dtype=np.int64)
     for k in range(0, len(docs), 4096):
         more = np.bincount(np.concatenate([ids for _, ids in docs[k : k + 4096]]))
@@ -118,7 +118,7 @@ def pack_segment(docs: list[tuple[int | None, np.ndarray]]) -> tuple[bytes, list
     for k, (doc_id, ids) in enumerate(docs):
         held.append((doc_id, ids))
         size += len(ids)
-        if size >= BLOCK or k == len(docs) - 1:
+        if size >= block or k == len(docs) - 1:
             every = np.concatenate([i for _, i in held])
             lanes, stream, checkpoints = coder.encode(every)
             blocks.append({"doc_ids": [d for d, _ in held], "counts": [len(i) for _, i in held], "n": len(every), "lanes": lanes, "stream": stream, "checkpoints": checkpoints, "stream_crc": zlib.crc32(stream), "ids_crc": crc(every)})
@@ -126,7 +126,7 @@ def pack_segment(docs: list[tuple[int | None, np.ndarray]]) -> tuple[bytes, list
     return table.pack(), blocks
 
 
-def _writer(path: str, end_id: int):
+def _writer(path: str, end_id: int, most: int, block_size: int):
     block = pa.struct([("doc_ids", pa.list_(pa.int64())), ("counts", pa.list_(pa.int64())), ("n", pa.int64()), ("lanes", pa.int32()), ("stream", pa.binary()), ("checkpoints", pa.binary()), ("stream_crc", pa.int64()), ("ids_crc", pa.int64())])
     schema = pa.schema([("part", pa.int32()), ("segment", pa.int32()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("freq_table", pa.binary()), ("blocks", pa.list_(block))])
 
@@ -135,7 +135,7 @@ def _writer(path: str, end_id: int):
         part, segment, start, held, size = TaskContext.get().partitionId(), 0, 0, [], 0
 
         def row() -> pa.RecordBatch:
-            table, blocks = pack_segment(held)
+            table, blocks = pack_segment(held, block_size)
             return pa.RecordBatch.from_pylist([{"part": part, "segment": segment, "start": start, "n_tokens": size, "freq_table": table, "blocks": blocks}], schema=schema)
 
         for batch in pieces(batches):
@@ -143,7 +143,7 @@ def _writer(path: str, end_id: int):
                 ids = np.frombuffer(words.ids(raw) + end, dtype="<u4")
                 held.append((doc_id, ids))
                 size += len(ids)
-                if size >= SEGMENT:
+                if size >= most:
                     yield row()
                     segment, start, held, size = segment + 1, start + size, [], 0
         if held:
@@ -152,10 +152,10 @@ def _writer(path: str, end_id: int):
     return lean(run)
 
 
-def write(docs: DataFrame, path: str, tokenizer: str, end_id: int) -> None:
-    """Write the token files of docs to the folder path."""
+def write(docs: DataFrame, path: str, tokenizer: str, end_id: int, segment: int = SEGMENT, block: int = BLOCK) -> None:
+    """Write the token files of docs to the folder path, in segments and blocks of about so many tokens."""
     dealt = id_and_text(docs).repartitionByRange("doc_id").sortWithinPartitions("doc_id")
-    dealt.mapInArrow(_writer(tokenizer, end_id), SCHEMA).write.parquet(path)
+    dealt.mapInArrow(_writer(tokenizer, end_id, segment, block), SCHEMA).write.parquet(path)
 
 
 def _reader(with_ids: bool):
