@@ -9,11 +9,12 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from orderstat.operators.engine import multi_select
-from orderstat.operators.distribute import bucketize, upto
-from orderstat.operators.partition import pivot_ranks
-from orderstat.operators.select import weighted_rank
+from orderstat.operators.distribute import upto
+from orderstat.operators.order import numbered
+from orderstat.operators.select import weighted_ranks
 from orderstat.plans.policy import Settings
 from orderstat.sources import ranks as R
+from orderstat.sources.scratch import stored
 
 
 def _by(group_by: str | list[str] | None) -> list[str]:
@@ -88,8 +89,8 @@ def rank_slice(df: DataFrame, key: str, a: int, b: int, tie_break: list[str], se
     ends = [r["value"] for r in multi_select(df, key, [a, b], settings=settings).collect()]
     low, high = ends[0], ends[-1]
     before = df.filter(F.col(key) < F.lit(low)).count()
-    turn = Window.orderBy(*full)
-    return df.filter((F.col(key) >= F.lit(low)) & (F.col(key) <= F.lit(high))).withColumn("rank", F.row_number().over(turn).cast("long") + before).filter(f"rank between {a} and {b}")
+    inside = df.filter((F.col(key) >= F.lit(low)) & (F.col(key) <= F.lit(high)))
+    return numbered(inside, full).withColumn("rank", F.col("rank") + before).filter(F.col("rank").between(a, b))
 
 
 def rows_at(df: DataFrame, key: str, ranks, tie_break: list[str], settings: Settings = Settings()) -> DataFrame:
@@ -124,14 +125,38 @@ def equi_depth(df: DataFrame, key: str, m: int, settings: Settings = Settings())
     return rows.groupBy("bin").agg(F.min(key).alias("lo"), F.max(key).alias("hi"), F.count("*").alias("n"))
 
 
+#: Edges up to which they are broadcast as one array; more are met in groups, by a join.
+MOST_EDGES = 1 << 17
+
+
 def label(df: DataFrame, key: str, edges: DataFrame) -> DataFrame:
-    """df with bin: how many edges (column value) lie under the key. Edges are few; they are broadcast as one array."""
-    packed = edges.agg(F.array_sort(F.collect_set("value")).alias("_edges"))
-    most = 1 << 16
-    met = df.join(F.broadcast(packed))
-    count = upto(F.col(key), F.col("_edges"), most)
-    hit = F.coalesce((count > 0) & (F.try_element_at("_edges", count) == F.col(key)), F.lit(False))
-    return met.withColumn("bin", (count - hit.cast("int")).cast("int")).drop("_edges")
+    """df with bin: how many edges (column value) lie under the key."""
+    met = _placed(df, key, edges)
+    return met.withColumn("bin", (F.col("_count") - F.col("_hit").cast("int")).cast("int")).drop("_count", "_hit")
+
+
+def _placed(df: DataFrame, key: str, edges: DataFrame, most: int | None = None) -> DataFrame:
+    """df with _count, the distinct edges at most the key, and _hit, whether one equals it.
+
+    Up to most edges are one array, searched by halving. Of more, every so many-th is in that array; it tells the group of
+    edges among which the search goes on, and a row meets its group's edges in a join.
+    """
+    most = most or MOST_EDGES
+    edges = edges.select("value").filter("value is not null").distinct()
+    n = edges.count()
+    if n <= most:
+        packed = edges.agg(F.array_sort(F.collect_list("value")).alias("_edges"))
+        met = df.join(F.broadcast(packed)).withColumn("_count", upto(F.col(key), F.col("_edges"), n))
+        hit = F.coalesce((F.col("_count") > 0) & (F.try_element_at("_edges", F.col("_count").cast("int")) == F.col(key)), F.lit(False))
+        return met.withColumn("_count", F.coalesce(F.col("_count"), F.lit(0)).cast("long")).withColumn("_hit", hit).drop("_edges")
+    step = -(-n // most)
+    placed = stored(numbered(edges, ["value"], out="_place").withColumn("_group", F.expr(f"(_place - 1) div {step} + 1")), "edges")
+    fences = placed.filter(f"_place % {step} = {1 % step}").agg(F.array_sort(F.collect_list("value")).alias("_fences"))
+    groups = placed.groupBy("_group").agg(F.array_sort(F.collect_list("value")).alias("_edges"))
+    met = df.join(F.broadcast(fences)).withColumn("_group", F.coalesce(upto(F.col(key), F.col("_fences"), most), F.lit(0)).cast("long")).drop("_fences")
+    met = met.join(groups, "_group", "left").withColumn("_in", F.coalesce(upto(F.col(key), F.col("_edges"), step), F.lit(0)))
+    hit = F.coalesce((F.col("_in") > 0) & (F.try_element_at("_edges", F.col("_in").cast("int")) == F.col(key)), F.lit(False))
+    return met.withColumn("_count", F.when(F.col("_group") > 0, (F.col("_group") - 1) * step + F.col("_in")).otherwise(0)).withColumn("_hit", hit).drop("_group", "_edges", "_in")
 
 
 def _edges(df: DataFrame, key: str, lo: str, hi: str, settings: Settings) -> DataFrame:
@@ -161,25 +186,55 @@ def winsor_mean(df: DataFrame, key: str, lo: str = "0.05", hi: str = "0.95", set
 
 
 def rank_of(df: DataFrame, key: str, values: DataFrame) -> DataFrame:
-    """(value, lt, eq) for the values of a short list: one counting pass."""
+    """(value, lt, eq) for the distinct values of a list of any length: one counting pass, one search for each row."""
     kind = df.schema[key].dataType
-    pivots = values.agg(F.array_sort(F.collect_set(F.col("value").cast(kind))).alias("pivots")).select(F.lit(0).cast("long").alias("sub"), "pivots")
-    work = df.select(F.lit(0).cast("long").alias("sub"), F.col(key).alias("key")).filter("key is not null")
-    counts = pivot_ranks(bucketize(work, pivots, 1 << 16).groupBy("sub", "bucket").agg(F.count("*").alias("n")))
-    each = pivots.select(F.posexplode("pivots").alias("j", "value"))
-    low = counts.select(F.col("bucket").alias("_b"), "n", "hi_rank")
-    told = each.join(F.broadcast(low), F.col("_b") <= 2 * F.col("j") + 1, "left").groupBy("value", "j").agg(F.sum(F.when(F.col("_b") <= 2 * F.col("j"), F.col("n")).otherwise(0)).alias("lt"), F.sum(F.when(F.col("_b") == 2 * F.col("j") + 1, F.col("n")).otherwise(0)).alias("eq"))
-    return told.select("value", F.coalesce("lt", F.lit(0)).alias("lt"), F.coalesce("eq", F.lit(0)).alias("eq"))
+    values = values.select(F.col("value").cast(kind).alias("value")).filter("value is not null").distinct()
+    keys = df.select(F.col(key).alias("_key")).filter("_key is not null")
+    counts = _placed(keys, "_key", values).groupBy("_count", "_hit").agg(F.count("*").alias("n"))
+    # By value: rows under it, which are between it and the edge before, and rows equal to it; then running sums in two steps.
+    each = counts.select((F.col("_count") + (~F.col("_hit")).cast("int")).alias("_place"), F.when(F.col("_hit"), 0).otherwise(F.col("n")).alias("under"), F.when(F.col("_hit"), F.col("n")).otherwise(0).alias("eq"))
+    told = numbered(values, ["value"], out="_place").join(each.groupBy("_place").agg(F.sum("under").alias("under"), F.sum("eq").alias("eq")), "_place", "left").na.fill(0, ["under", "eq"])
+    told = told.withColumn("_block", F.expr("_place div 65536"))
+    inner = Window.partitionBy("_block").orderBy("_place").rowsBetween(Window.unboundedPreceding, 0)
+    sums = told.groupBy("_block").agg(F.sum(F.col("under") + F.col("eq")).alias("_n"))
+    before = sums.withColumn("_before", F.sum("_n").over(Window.partitionBy(F.lit(0)).orderBy("_block")) - F.col("_n")).drop("_n")
+    run = told.withColumn("_run", F.sum(F.col("under") + F.col("eq")).over(inner)).join(F.broadcast(before), "_block")
+    return run.select("value", (F.col("_before") + F.col("_run") - F.col("eq")).alias("lt"), "eq")
 
 
 def weighted(df: DataFrame, key: str, weight: str, fractions: list[str], settings: Settings = Settings()) -> DataFrame:
-    """(fraction, value): the smallest value with fraction of all weight up to it."""
+    """(fraction, value): the smallest value with fraction of all weight up to it; all fractions share the passes."""
     total = df.filter(F.col(key).isNotNull()).agg(F.sum(weight)).first()[0] or 0
-    out = None
-    for p in fractions:
-        one = weighted_rank(df, key, weight, float(Fraction(p)) * float(total), settings).select(F.lit(float(Fraction(p))).alias("fraction"), "value")
-        out = one if out is None else out.unionByName(one)
-    return out
+    ps = [Fraction(p) for p in fractions]
+    wanted = [float(p) * total if isinstance(total, float) else p * Fraction(total) for p in ps]
+    names = df.sparkSession.createDataFrame([(k, float(p)) for k, p in enumerate(ps)], "no int, fraction double")
+    return weighted_ranks(df, key, weight, wanted, settings).join(F.broadcast(names), "no").select("fraction", "value")
+
+
+def percent_rank(df: DataFrame, key: str, values: DataFrame) -> DataFrame:
+    """(value, percent_rank, cume_dist) of a list of values among the rows of df, as the window functions of these names define them."""
+    n = df.filter(F.col(key).isNotNull()).count()
+    return rank_of(df, key, values).select("value", (F.col("lt") / F.lit(max(1, n - 1))).alias("percent_rank"), ((F.col("lt") + F.col("eq")) / F.lit(max(1, n))).alias("cume_dist"))
+
+
+def normalised(df: DataFrame, key: str, target: DataFrame, value: str, m: int, settings: Settings = Settings()) -> DataFrame:
+    """df with mapped: the key's m-quantile bin answered by the target column's quantile of the same bin (quantile normalisation)."""
+    edges = multi_select(df, key, R.even(m), settings=settings)
+    n = target.filter(F.col(value).isNotNull()).count()
+    tops = target.sparkSession.range(1, m + 1).select(F.col("id").alias("tile"), F.expr(f"cast((id * {n} + {m - 1}) div {m} as bigint)").alias("rank"))
+    known = multi_select(target, value, tops.select("rank").filter("rank > 0").distinct(), settings=settings).join(tops, "rank").select("tile", F.col("value").alias("mapped"))
+    return label(df, key, edges.select("value")).withColumn("tile", F.when(F.col(key).isNotNull(), F.col("bin") + 1)).join(F.broadcast(known), "tile", "left").drop("bin", "tile")
+
+
+def cut_at(df: DataFrame, key: str, fraction: str, settings: Settings = Settings()) -> DataFrame:
+    """df with part: "train" up to the value of rank ceil(fraction n), "test" over it, null for null keys."""
+    edge = disc(df, key, [fraction], settings=settings).select(F.col("value").alias("_edge"))
+    return df.join(F.broadcast(edge)).withColumn("part", F.when(F.col(key) <= F.col("_edge"), "train").when(F.col(key) > F.col("_edge"), "test")).drop("_edge")
+
+
+def range_bounds(df: DataFrame, key: str, parts: int, settings: Settings = Settings()) -> DataFrame:
+    """(part, lo, hi, n): exact bounds of so many ranges of about equal size, for range partitioning; ties stay together."""
+    return equi_depth(df, key, parts, settings).withColumnRenamed("bin", "part")
 
 
 def _per_set(df: DataFrame, keys: list[str], sets: list[tuple[str, ...]], key: str, fractions: list[str], settings: Settings) -> DataFrame:

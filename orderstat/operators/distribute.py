@@ -6,6 +6,8 @@ Settings.max_pivots, not by the data.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -14,6 +16,8 @@ from pyspark.sql import types as T
 
 HOWS = ("search", "case", "bucketizer", "arrow", "join")
 NUMBERS = (T.ByteType, T.ShortType, T.IntegerType, T.LongType, T.FloatType, T.DoubleType)
+#: Doubles tell whole numbers apart up to here; a longer key still lies on the right side of every pivot within.
+WHOLE = 1 << 53
 
 
 def upto(key: Column, pivots: Column, most: int) -> Column:
@@ -41,14 +45,23 @@ def nested_case(key: Column, pivots: list, lo: int = 0) -> Column:
     return F.when(key < F.lit(pivots[m]), nested_case(key, pivots[:m], lo)).otherwise(nested_case(key, pivots[m + 1 :], lo + m + 1))
 
 
-def bucketize(work: DataFrame, pivots: DataFrame, most: int, how: str = "auto") -> DataFrame:
+def _fast(kind: T.DataType, values: dict[int, list] | None) -> bool:
+    """Whether the compiled search over doubles serves: one subproblem, a number for a key, finite pivots that doubles tell from all keys."""
+    return values is not None and len(values) == 1 and isinstance(kind, NUMBERS) and all(math.isfinite(v) and (isinstance(v, float) or abs(v) < WHOLE) for v in next(iter(values.values())))
+
+
+def bucketize(work: DataFrame, pivots: DataFrame, most: int, how: str = "auto", values: dict[int, list] | None = None) -> DataFrame:
     """work (sub, key, ...) with a column bucket; subproblems without a row in pivots are left out.
 
-    how other than "search" needs one subproblem and numbers (join: any type).
+    how "auto" takes the bucketizer where it serves and values, the pivots by subproblem, are at hand; else the search. Others than
+    "search" need one subproblem and numbers (join: any type); the bucketizer leaves pivots that doubles confuse to the search.
     """
     kind = work.schema["key"].dataType
     if how == "auto":
-        how = "search"
+        how = "bucketizer" if _fast(kind, values) else "search"
+    if how == "bucketizer" and isinstance(kind, NUMBERS):
+        values = values or {r["sub"]: list(r["pivots"]) for r in pivots.limit(2).collect()}
+        how = how if len(values) != 1 or _fast(kind, values) else "search"
     if how == "search":
         met = work.join(F.broadcast(pivots), "sub")
         return met.withColumn("_c", upto(F.col("key"), F.col("pivots"), most)).withColumn("bucket", three_way(F.col("key"), F.col("pivots"), F.col("_c"))).drop("_c", "pivots")
@@ -58,20 +71,21 @@ def bucketize(work: DataFrame, pivots: DataFrame, most: int, how: str = "auto")
         fits = (F.col("sub") == F.col("_sub")) & (F.col("lo").isNull() | (F.col("lo") <= F.col("key"))) & (F.col("hi").isNull() | (F.col("key") < F.col("hi")))
         met = work.join(F.broadcast(ends), fits)
         return met.withColumn("bucket", (2 * F.col("c") - F.coalesce(F.col("lo") == F.col("key"), F.lit(False)).cast("int")).cast("int")).drop("_sub", "c", "lo", "hi")
-    rows = pivots.limit(2).collect()
+    rows = [{"sub": s, "pivots": v} for s, v in values.items()] if values is not None else pivots.limit(2).collect()
     if len(rows) > 1 or not isinstance(kind, NUMBERS):
         raise ValueError(f"how={how!r} serves one subproblem with a numeric key")
     if not rows:
         return work.limit(0).withColumn("bucket", F.lit(0))
-    values = list(rows[0]["pivots"])
-    work = work.filter(F.col("sub") == rows[0]["sub"])
+    sub, values = rows[0]["sub"], list(rows[0]["pivots"])
+    work = work.filter(F.col("sub") == sub)
     if how == "case":
         count = nested_case(F.col("key"), values)
     elif how == "bucketizer":
         from pyspark.ml.feature import Bucketizer
 
-        tool = Bucketizer(splits=[-np.inf, *map(float, values), np.inf], inputCol="_d", outputCol="_b", handleInvalid="keep")
-        work = tool.transform(work.withColumn("_d", F.col("key").cast("double"))) if values else work.withColumn("_b", F.lit(0.0)).withColumn("_d", F.lit(0.0))
+        # Adding 0.0 makes a negative zero the zero it equals.
+        tool = Bucketizer(splits=[-np.inf, *(float(v) + 0.0 for v in values), np.inf], inputCol="_d", outputCol="_b", handleInvalid="keep")
+        work = tool.transform(work.withColumn("_d", F.col("key").cast("double") + F.lit(0.0))) if values else work.withColumn("_b", F.lit(0.0)).withColumn("_d", F.lit(0.0))
         count = F.least(F.col("_b").cast("int"), F.lit(len(values)))
     elif how == "arrow":
         edges = np.array(values)

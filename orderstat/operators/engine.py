@@ -134,7 +134,7 @@ def _pivots(work: DataFrame, want: Wanted, sizes: dict[int, int], delta: int | N
     one = len(sizes) == 1 and sketched(kind) and want.rows is not None and len(want.rows) <= settings.max_pivots // 2
     if mode in ("auto", "bracket") and one:
         return bracket_pivots(work, sorted({r for _, r, _ in want.rows}), n, settings.accuracy), "bracket"
-    parts = min(max(-(-2 * n // delta) if delta else 2, settings.min_fanout), settings.max_pivots)
+    parts = min(max(-(-2 * n // delta) if delta else 2, settings.min_fanout), settings.max_pivots, settings.max_total_pivots // len(sizes))
     return even_pivots(work, max(parts, 2), max(settings.accuracy, 8 * parts)), "summary"
 
 
@@ -185,7 +185,7 @@ def resolve(work: DataFrame, want: DataFrame, settings: Settings, ledger: Ledger
         # Pivots that part nothing: next time take elements, each of which is removed with all its equals.
         stuck = max(n for _, _, n in needs) == max(here.values())
         ids = spark.createDataFrame([(s, b, k) for k, (s, b, _) in enumerate(needs)], "sub long, bucket int, next long")
-        kept = bucketize(work, part.pivots, part.most, settings.how).join(F.broadcast(ids), ["sub", "bucket"]).select(F.col("next").alias("sub"), "key")
+        kept = bucketize(work, part.pivots, part.most, settings.how, part.values).join(F.broadcast(ids), ["sub", "bucket"]).select(F.col("next").alias("sub"), "key")
         sizes, delta, wanted = {k: n for k, (_, _, n) in enumerate(needs)}, None, rest
         if all(n <= settings.finish_rows for n in sizes.values()):
             # The last read of the keys goes straight into the one shuffle; nothing is written between.
@@ -211,7 +211,7 @@ def sort_and_pick(work: DataFrame, want: DataFrame, n: int, settings: Settings,
     part = counted(work, even_pivots(work, parts, max(settings.accuracy, 8 * parts)), settings)
     answers, needs, rest = _route(Wanted.of(want, settings.listed_ranks), part, kind)
     ids = spark.createDataFrame([(s, b, k) for k, (s, b, _) in enumerate(needs)], "sub long, bucket int, next long")
-    kept = bucketize(work, part.pivots, part.most, settings.how).join(F.broadcast(ids), ["sub", "bucket"]).select(F.col("next").alias("sub"), "key")
+    kept = bucketize(work, part.pivots, part.most, settings.how, part.values).join(F.broadcast(ids), ["sub", "bucket"]).select(F.col("next").alias("sub"), "key")
     moved = sum(n for _, _, n in needs)
     ledger.levels.append(Level(0, "sort", "summary", n, None, len(part.open_sizes()), max(part.open_sizes(), default=0), -1, moved, time.time() - began))
     ledger.rows_scanned, ledger.rows_shuffled = 3 * n, moved
@@ -281,7 +281,7 @@ def multi_select(df: DataFrame, order_by: str | Column | list, ranks, *, group_b
         else:
             delta = gap_threshold(rank_gaps(want.select("rank"), n), n)
         branch = Branch(settings.branch) if settings.branch != "auto" else choose_branch(n, delta, settings.tall)
-        if settings.collapse:
+        if settings.collapse is True or settings.collapse == "auto" and work.agg(F.approx_count_distinct("key").alias("d")).first()["d"] <= settings.collapse_values:
             answers = _collapsed(work, want)
         elif branch is Branch.SORT:
             answers = sort_and_pick(work, want, n, settings, ledger)
@@ -315,25 +315,31 @@ def _grouped(df: DataFrame, key: Column, ranks, by: list[str], settings: Setting
         asked = R.At(*ranks).grouped(groups)
     out = [F.col(b) for b in by]
     if largest <= settings.finish_rows:
-        # Every group fits a task: one shuffle by group, no pivots. Nulls in group columns match each other.
         ledger.levels.append(Level(0, "sort", "none", 0, None, 0, largest, 0, 0, 0.0))
-        turn = Window.partitionBy(*by).orderBy("key")
-        numbered = rows.withColumn("rank", F.row_number().over(turn).cast("long"))
-        named = asked.select(*[F.col(b).alias(f"_g{k}") for k, b in enumerate(by)], F.col("rank").alias("_rank"))
-        same = F.col("rank") == F.col("_rank")
-        for k, b in enumerate(by):
-            same = same & F.col(b).eqNullSafe(F.col(f"_g{k}"))
-        return numbered.join(named, same).select(*out, "rank", F.col("key").alias("value")).orderBy(*by, "rank")
-    ids = stored(groups.withColumn("sub", F.row_number().over(Window.orderBy(*by)).cast("long")), "groups")
-    named = ids.select(*[F.col(b).alias(f"_g{k}") for k, b in enumerate(by)], "sub")
-
-    def joined(frame: DataFrame) -> DataFrame:
-        same = F.lit(True)
-        for k, b in enumerate(by):
-            same = same & F.col(b).eqNullSafe(F.col(f"_g{k}"))
-        return frame.join(F.broadcast(named) if groups.count() <= 1_000_000 else named, same)
-
-    work = joined(rows).select("sub", "key")
-    want = joined(asked.select(*by, "rank")).select("sub", "rank", F.struct("sub", "rank").alias("asked"))
-    answers = resolve(work, want, settings, ledger)
-    return answers.select(F.col("asked.sub").alias("sub"), F.col("asked.rank").alias("rank"), "value").join(ids, "sub").select(*out, "rank", "value").orderBy(*by, "rank")
+        return _by_window(rows, asked, by).orderBy(*by, "rank")
+    # Groups too large for a task are at most n / finish_rows; only they are listed, numbered by place, and go level by level.
+    large = stored(groups.filter(F.col("n") > settings.finish_rows).withColumn("sub", F.monotonically_increasing_id()), "large")
+    named = F.broadcast(large.select(*[F.col(b).alias(f"_g{k}") for k, b in enumerate(by)], "sub"))
+    same = F.lit(True)
+    for k, b in enumerate(by):
+        same = same & F.col(b).eqNullSafe(F.col(f"_g{k}"))
+    sizes = {r["sub"]: r["n"] for r in large.select("sub", "n").collect()}
+    want = stored(asked.select(*by, "rank").join(named, same).select("sub", "rank", F.struct("sub", "rank").alias("asked")), "want")
+    none = [s for s in sizes if s not in {r["sub"] for r in want.select("sub").distinct().collect()}]
+    work = rows.join(named, same).select("sub", "key")
+    found = resolve(work.filter(~F.col("sub").isin(none)) if none else work, want, settings, ledger, sizes={s: n for s, n in sizes.items() if s not in none}) if len(none) < len(sizes) else None
+    small = _by_window(rows.join(named, same, "left_anti"), asked.join(named, same, "left_anti"), by)
+    if found is None:
+        return small.orderBy(*by, "rank")
+    answers = found.select(F.col("asked.sub").alias("sub"), F.col("asked.rank").alias("rank"), "value").join(F.broadcast(large.drop("n")), "sub")
+    return answers.select(*out, "rank", "value").unionByName(small).orderBy(*by, "rank")
+
+
+def _by_window(rows: DataFrame, asked: DataFrame, by: list[str]) -> DataFrame:
+    """(by, rank, value) of groups that each fit a task: one shuffle by group, no pivots. Nulls in group columns match each other."""
+    numbered = rows.withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy("key")).cast("long"))
+    named = asked.select(*[F.col(b).alias(f"_g{k}") for k, b in enumerate(by)], F.col("rank").alias("_rank"))
+    same = F.col("rank") == F.col("_rank")
+    for k, b in enumerate(by):
+        same = same & F.col(b).eqNullSafe(F.col(f"_g{k}"))
+    return numbered.join(named, same).select(*[F.col(b) for b in by], "rank", F.col("key").alias("value"))

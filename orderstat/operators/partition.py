@@ -32,9 +32,9 @@ class Partition:
         return self.pivots.sparkSession.createDataFrame([(s, b, n, lo, lo + n - 1) for s, rows in self.bounds.items() for b, n, lo in rows], "sub long, bucket int, n long, lo_rank long, hi_rank long")
 
 
-def bucket_counts(work: DataFrame, pivots: DataFrame, most: int, how: str = "auto") -> DataFrame:
+def bucket_counts(work: DataFrame, pivots: DataFrame, most: int, how: str = "auto", values: dict[int, list] | None = None) -> DataFrame:
     """(sub, bucket, n): counted in each task before anything moves."""
-    return bucketize(work.select("sub", "key"), pivots, most, how).groupBy("sub", "bucket").agg(F.count("*").alias("n"))
+    return bucketize(work.select("sub", "key"), pivots, most, how, values).groupBy("sub", "bucket").agg(F.count("*").alias("n"))
 
 
 def pivot_ranks(counts: DataFrame) -> DataFrame:
@@ -49,13 +49,13 @@ def counted(work: DataFrame, pivots: DataFrame, settings: Settings) -> Partition
     held = work.sparkSession.createDataFrame(rows, pivots.schema)
     values = {r["sub"]: list(r["pivots"]) for r in rows}
     found: dict[int, list[tuple[int, int, int]]] = {s: [] for s in values}
-    for r in sorted(bucket_counts(work, held, max(map(len, values.values()), default=0), settings.how).collect()):
+    for r in sorted(bucket_counts(work, held, max(map(len, values.values()), default=0), settings.how, values).collect()):
         own = found[r["sub"]]
         own.append((r["bucket"], r["n"], own[-1][1] + own[-1][2] if own else 1))
     return Partition(held, values, found)
 
 
-def multi_partition(work: DataFrame, delta: int, settings: Settings = Settings(), source: str = "summary", most_rounds: int = 40) -> Partition:
+def multi_partition(work: DataFrame, delta: int, settings: Settings = Settings(), source: str = "summary") -> Partition:
     """Buckets of at most delta elements between pivots; a bucket of one repeated value may be larger.
 
     source "summary": pivots at every delta / 2 ranks at once; "medians": every bucket that is too large splits at its median,
@@ -67,15 +67,17 @@ def multi_partition(work: DataFrame, delta: int, settings: Settings = Settings()
         parts = 1
     none = work.sparkSession.createDataFrame([(s["sub"], []) for s in work.select("sub").distinct().collect()], work.select("sub", F.array("key").alias("pivots")).schema)
     found = counted(work, even_pivots(work, parts, max(settings.accuracy, 8 * parts)) if parts > 1 else none, settings)
-    for _ in range(most_rounds):
+    largest = None
+    while True:
         too_large = [(s, b) for s, rows in found.bounds.items() for b, size, _ in rows if b % 2 == 0 and size > delta]
         if not too_large:
             return found
+        # A split that parts nothing (sketched pivots among close whole numbers) is followed by one at an element.
+        stuck, largest = largest == max(found.open_sizes()), max(found.open_sizes())
         large = work.sparkSession.createDataFrame(too_large, "sub long, bucket int")
-        inside = bucketize(work.select("sub", "key"), found.pivots, found.most, settings.how).join(F.broadcast(large), ["sub", "bucket"])
+        inside = bucketize(work.select("sub", "key"), found.pivots, found.most, settings.how, found.values).join(F.broadcast(large), ["sub", "bucket"])
         ids = inside.select(F.struct("sub", "bucket").alias("at"), "key").withColumn("sub", F.xxhash64("at"))
         owner = large.withColumn("id", F.xxhash64(F.struct("sub", "bucket")))
-        more = even_pivots(ids.select("sub", "key"), 2, settings.accuracy).withColumnRenamed("sub", "id").join(owner, "id").select("sub", "pivots")
+        more = even_pivots(ids.select("sub", "key"), 2, settings.accuracy, own=stuck).withColumnRenamed("sub", "id").join(owner, "id").select("sub", "pivots")
         pivots = found.pivots.unionByName(more).groupBy("sub").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("pivots")))).alias("pivots"))
         found = counted(work, pivots, settings)
-    raise RuntimeError("the partition did not reach its bucket size")

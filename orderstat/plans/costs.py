@@ -58,10 +58,11 @@ def k2_ok(n: int, delta: int, tall: TallCache = TallCache()) -> bool:
 def rank_error(df: DataFrame, key: str, answers: DataFrame) -> DataFrame:
     """answers (rank, value) with lt, eq and error: how far rank lies outside the ranks that value holds.
 
-    One pass: values of answers are few (a row for each rank asked), so they are broadcast.
+    One pass with one search for each row.
     """
-    values = answers.select("value").distinct()
-    counts = df.select(F.col(key).alias("_k")).filter("_k is not null").join(F.broadcast(values), F.col("_k") <= F.col("value")).groupBy("value").agg(F.sum((F.col("_k") < F.col("value")).cast("long")).alias("lt"), F.sum((F.col("_k") == F.col("value")).cast("long")).alias("eq"))
+    from orderstat.functions.quantiles import rank_of
+
+    counts = rank_of(df, key, answers.select("value"))
     told = answers.join(counts, "value", "left").na.fill(0, ["lt", "eq"])
     return told.withColumn("error", F.greatest(F.col("lt") + 1 - F.col("rank"), F.col("rank") - F.col("lt") - F.greatest("eq", F.lit(1)), F.lit(0)))
 

@@ -60,7 +60,9 @@ class Settings:
     """How the engine works. None of it changes an answer.
 
     finish_rows: a subproblem of at most so many rows is ordered by one task. accuracy: rank error of a summary is at most
-    n / accuracy. min_fanout: pivots asked for at least, where pivots="summary". max_pivots bounds what is broadcast.
+    n / accuracy. min_fanout: pivots asked for at least, where pivots="summary". max_pivots bounds what is broadcast for a subproblem,
+max_total_pivots what is for all subproblems of a level. collapse: True selects on the histogram of distinct values, False never does,
+"auto" does where a sketch counts at most collapse_values of them.
     listed_ranks: rank lists up to this length are held on the driver, longer ones stay DataFrames.
     """
 
@@ -74,7 +76,9 @@ class Settings:
     accuracy: int = 10_000
     min_fanout: int = 256
     max_pivots: int = 4096
+    max_total_pivots: int = 1 << 20
     max_sort_buckets: int = 20_000
     max_levels: int = 64
     listed_ranks: int = 50_000
-    collapse: bool = False
+    collapse: bool | str = False
+    collapse_values: int = 10_000

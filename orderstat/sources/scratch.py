@@ -2,16 +2,29 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+def is_local(spark: SparkSession) -> bool:
+    """Whether driver and executors are one process, and so share its folders and code."""
+    return re.match(r"local(\[|$)", spark.sparkContext.master) is not None
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where that is unset."""
+    """This run's own folder in spark.checkpoint.dir, which driver and executors share.
+
+    Where that is unset a local session gets a folder of its own; on a cluster its executors could not read one, so it is an error.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    return base or _own_dir()
+    if base is None and not is_local(spark):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+    if base is None:
+        base = _own_dir()
+    return f"{base.rstrip('/')}/orderstat-{spark.sparkContext.applicationId}"
 
 
 def _own_dir() -> str:
@@ -23,6 +36,12 @@ def _own_dir() -> str:
 _own: list[str] = []
 
 
+def cleanup(spark: SparkSession) -> None:
+    """Deletes this run's folder, when no result that reads from it is needed any more."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(shared_dir(spark))
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def stored(df: DataFrame, name: str) -> DataFrame:
     """df written once to the shared folder and read back."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"

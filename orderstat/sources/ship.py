@@ -9,14 +9,16 @@ from pathlib import Path
 
 from pyspark.sql import SparkSession
 
+from orderstat.sources.scratch import is_local
+
 _sent: set[str] = set()
 
 
 def ship(spark: SparkSession) -> None:
-    """Once for each application, unless workers find the code by PYTHONPATH or the working directory; later executors get it too."""
+    """Once for each application, unless workers run beside the driver and find the code by its path; later executors get it too."""
     sc, root = spark.sparkContext, Path(__file__).resolve().parents[2]
     known = [Path(p).resolve() for p in [*os.environ.get("PYTHONPATH", "").split(os.pathsep), os.getcwd()] if p]
-    if root in known or sc.applicationId in _sent:
+    if sc.applicationId in _sent or is_local(spark) and root in known:
         return
     path = Path(tempfile.mkdtemp(prefix="orderstat-code-")) / "orderstat_code.zip"
     with zipfile.ZipFile(path, "w", zipfile.ZIP_DEFLATED) as z:
