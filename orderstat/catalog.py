@@ -260,7 +260,24 @@ def branch_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "family string, eps string, delta long, branch string")
 
 
-@query()
+def _cost_sql() -> str:
+    """The same measures from the gaps alone; M = 2^20, B = 2^10, eps = 1."""
+    fams = " UNION ALL ".join(f"SELECT '{k}' AS family, rn AS r FROM numbers WHERE {WHERE[k]}" for k in _KINDS)
+    return f"""
+WITH numbers AS (SELECT row_number() OVER () AS rn, count(*) OVER () AS n FROM lineitem), m AS (SELECT count(*) AS n, CAST(count(*) AS DOUBLE) AS x FROM lineitem),
+f AS ({fams}), e AS (SELECT family, r FROM f UNION ALL SELECT DISTINCT family, n + 1 FROM f, m),
+g AS (SELECT family, r - coalesce(lag(r) OVER (PARTITION BY family ORDER BY r), 0) AS size FROM e),
+c AS (SELECT family, size, sum(sum(size)) OVER (PARTITION BY family ORDER BY size) AS cum FROM g GROUP BY family, size),
+d AS (SELECT family, min(size) AS delta FROM c, m WHERE 2 * cum >= n + 2 GROUP BY family),
+s AS (SELECT family, sum(size * log2(x / size)) / any_value(x) AS entropy, sum(size / 1024.0 * greatest(0, ln(x / size))) / ln(1024.0) + any_value(x) / 1024 AS io,
+  sum(size / 1024.0 * greatest(0, ln(x / size))) / ln(1048576.0) + any_value(x) / 1024 AS io_log_m, sum(size * (1 + log2(x / size))) AS potential, sum(size / 1024.0 * (1 + ln(x / size) / ln(1048576.0))) AS io_potential FROM g, m GROUP BY family)
+SELECT family, CAST(delta AS BIGINT) AS delta, round(entropy, 6) AS entropy, round(io, 4) AS io, round(io_log_m, 4) AS io_log_m, CAST((n + 1023) // 1024 AS BIGINT) AS scan,
+  round(x / 1024 * (1 + greatest(0, ln(greatest(x / 1024, 1)) / ln(1024.0))), 4) AS sort, CAST(greatest(1, 2 * n // delta) AS BIGINT) AS fan_out, round(power(greatest(1, 2 * n // delta), 2), 2) AS tree_cells,
+  round(potential, 2) AS potential, round(io_potential, 4) AS io_potential, 1.5 * ln(x) <= 2 * ln(delta) + 1e-9 AS k2_ok
+FROM s JOIN d USING (family), m"""
+
+
+@query(_cost_sql())
 def cost_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Entropy, I/O forms, sort bound and tree space by family, M = 2^20, B = 2^10."""
     n, m, b = table(spark, sf_dir, "lineitem").count(), 1 << 20, 1 << 10
@@ -270,7 +287,7 @@ def cost_table(spark: SparkSession, sf_dir: str) -> DataFrame:
         sizes = [r["size"] for r in g.select("size").collect()]
         delta = gaps.threshold_of(sizes, n)
         fan = max(1, 2 * n // delta)
-        rows.append((k, delta, costs.entropy_of(sizes, n) / n, costs.io_bound(sizes, n, m, b), costs.io_bound(sizes, n, m, b, "m"), costs.scan_blocks(n, b), costs.sort_bound(n, m, b), fan, costs.tree_space(fan, 3.0), costs.potential(sizes, n), costs.potential(sizes, n, "io", m, b), costs.k2_ok(n, delta)))
+        rows.append((k, delta, round(costs.entropy_of(sizes, n) / n, 6), round(costs.io_bound(sizes, n, m, b), 4), round(costs.io_bound(sizes, n, m, b, "m"), 4), costs.scan_blocks(n, b), round(costs.sort_bound(n, m, b), 4), fan, round(costs.tree_space(fan, 3.0), 2), round(costs.potential(sizes, n), 2), round(costs.potential(sizes, n, "io", m, b), 4), costs.k2_ok(n, delta)))
     return spark.createDataFrame(rows, "family string, delta long, entropy double, io double, io_log_m double, scan long, sort double, fan_out long, tree_cells double, potential double, io_potential double, k2_ok boolean")
 
 
@@ -704,3 +721,104 @@ def sliding_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     counts = windows.window_counts(rows, "value", F.window("ts", "24 hours", "12 hours"), ["event_type"])
     return counts.groupBy("start", "event_type").agg(F.sum("n").alias("n"))
+
+
+# Later additions ----------------------------------------------------------------------------------
+
+
+@query("WITH w AS (SELECT l_orderkey * 1152921504606 + l_linenumber AS k, sum(l_quantity) AS w FROM lineitem GROUP BY 1), c AS (SELECT k, sum(w) OVER (ORDER BY k) AS cum FROM w) SELECT min(k) AS value FROM c WHERE 2 * cum >= (SELECT sum(l_quantity) FROM lineitem)")
+def weighted_select_wide_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Weighted selection among whole numbers that doubles do not tell apart."""
+    rows = table(spark, sf_dir, "lineitem").select((F.col("l_orderkey") * F.lit(1152921504606) + F.col("l_linenumber")).alias("k"), "l_quantity")
+    return select.weighted_rank(rows, "k", "l_quantity", rows.agg(F.sum("l_quantity")).first()[0] / 2, SMALL).select("value")
+
+
+@query("WITH n AS (SELECT count(*) AS n FROM lineitem), o AS (SELECT l_extendedprice AS k, row_number() OVER (ORDER BY l_extendedprice) AS rn FROM lineitem), j AS (SELECT unnest(range(0, 64)) AS j) SELECT CAST(j AS INTEGER) AS j, count(*) AS q, round(sum(k), 2) AS total FROM j, n, o WHERE (1::BIGINT << (j % 62)) <= n AND j < 62 AND j > 0 AND ((rn * (1::BIGINT << j)) // n) <> (((rn - 1) * (1::BIGINT << j)) // n) AND (rn * (1::BIGINT << j)) // n < (1::BIGINT << j) GROUP BY j")
+def spectrum_to_sort(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """2^j - 1 even ranks for every j from 1 to floor(lg N): from one selection to nearly a sort."""
+    rows = table(spark, sf_dir, "lineitem")
+    n, out = rows.count(), None
+    for j in range(1, n.bit_length()):
+        one = multi_select(rows, PRICE, R.even(1 << j)).agg(F.lit(j).alias("j"), F.count("*").alias("q"), F.round(F.sum("value"), 2).alias("total"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _windowed(source: str, start: str) -> str:
+    return f"WITH e AS (SELECT {start} AS start, event_type, value AS k FROM {source}), o AS (SELECT *, row_number() OVER (PARTITION BY start, event_type ORDER BY k) AS rn, count(*) OVER (PARTITION BY start, event_type) AS n FROM e) SELECT CAST(start AS TIMESTAMP) AS start, event_type, CAST(CASE WHEN rn = (n + 1) // 2 THEN 0.5 ELSE 0.9 END AS DOUBLE) AS fraction, CAST(rn AS BIGINT) AS rank, k AS value FROM o WHERE rn IN ((n + 1) // 2) UNION ALL SELECT CAST(start AS TIMESTAMP), event_type, CAST(0.9 AS DOUBLE), CAST(rn AS BIGINT), k FROM o WHERE rn = (9 * n + 9) // 10"
+
+
+@query(_windowed("events, range(0, 2) t(o)", "time_bucket(INTERVAL 12 HOUR, ts) - o * INTERVAL 12 HOUR"))
+def sliding_window_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Medians and 90 % ranks by type in windows of a day every half day."""
+    from orderstat.streaming import windows
+
+    rows = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    counts = windows.window_counts(rows, "value", F.window("ts", "24 hours", "12 hours"), ["event_type"])
+    return windows.ranks_of_counts(counts.select("start", "event_type", "value", "n"), ["start", "event_type"], ["0.5", "0.9"])
+
+
+_SESSIONS = "(SELECT *, max(CASE WHEN fresh THEN ts END) OVER (PARTITION BY event_type ORDER BY ts ROWS UNBOUNDED PRECEDING) AS begun FROM (SELECT *, coalesce(ts - lag(ts) OVER (PARTITION BY event_type ORDER BY ts) >= INTERVAL 30 MINUTE, true) AS fresh FROM events))"
+
+
+@query(_windowed(_SESSIONS, "begun"))
+def session_window_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same in sessions of a type that half an hour without an event ends."""
+    from orderstat.streaming import windows
+
+    rows = table(spark, sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"), "event_type", "value")
+    spans = rows.groupBy("event_type", F.session_window("ts", "30 minutes").alias("w")).agg(F.count("*").alias("all"))
+    spans = spans.select(F.col("event_type").alias("_type"), F.col("w.start").alias("start"), F.col("w.end").alias("_end"))
+    met = rows.join(spans, (F.col("event_type") == F.col("_type")) & (F.col("ts") >= F.col("start")) & (F.col("ts") < F.col("_end")))
+    counts = met.groupBy("start", "event_type", "value").agg(F.count("*").alias("n"))
+    return windows.ranks_of_counts(counts, ["start", "event_type"], ["0.5", "0.9"])
+
+
+@query("SELECT value, any_value(pr) AS percent_rank, any_value(cd) AS cume_dist FROM (SELECT l_quantity AS value, round(percent_rank() OVER (ORDER BY l_quantity), 9) AS pr, round(cume_dist() OVER (ORDER BY l_quantity), 9) AS cd FROM lineitem) GROUP BY value")
+def percent_rank_of_values(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "lineitem")
+    found = quantiles.percent_rank(rows, "l_quantity", rows.select(F.col("l_quantity").alias("value")))
+    return found.select("value", F.round("percent_rank", 9).alias("percent_rank"), F.round("cume_dist", 9).alias("cume_dist"))
+
+
+@query("WITH o AS (SELECT l_quantity AS k, row_number() OVER (ORDER BY l_quantity) AS rn, count(*) OVER () AS n FROM lineitem) SELECT CASE WHEN l_quantity <= (SELECT k FROM o WHERE rn = (8 * n + 9) // 10) THEN 'train' ELSE 'test' END AS part, count(*) AS n FROM lineitem GROUP BY 1")
+def train_test_cut(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quantiles.cut_at(table(spark, sf_dir, "lineitem"), "l_quantity", "0.8").groupBy("part").agg(F.count("*").alias("n"))
+
+
+@query("WITH e AS (SELECT DISTINCT k FROM (SELECT o_totalprice AS k, row_number() OVER (ORDER BY o_totalprice) AS rn, count(*) OVER () AS n FROM orders) WHERE rn IN (SELECT (i * n + 9) // 10 FROM range(1, 10) t(i))), t AS (SELECT k, rn, n FROM (SELECT c_acctbal AS k, row_number() OVER (ORDER BY c_acctbal) AS rn, count(*) OVER () AS n FROM customer)), b AS (SELECT (SELECT count(*) FROM e WHERE e.k < o_totalprice) + 1 AS tile FROM orders) SELECT t.k AS mapped, count(*) AS n FROM b JOIN t ON t.rn = (b.tile * t.n + 9) // 10 GROUP BY 1")
+def quantile_normalised(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Order totals answered by the account balance of the same decile."""
+    found = quantiles.normalised(table(spark, sf_dir, "orders"), "o_totalprice", table(spark, sf_dir, "customer"), "c_acctbal", 10)
+    return found.groupBy("mapped").agg(F.count("*").alias("n"))
+
+
+@query(_AGREE)
+def eps_sweep_agrees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The answers of every eps of the sweep, over families on both sides of the branch rule."""
+    runs = [Settings(tall=TallCache.of(e), finish_rows=500) for e in _EPS]
+    return spark.createDataFrame([(all(_same(spark, sf_dir, runs, k).first()["agree"] for k in ("tail", "permille")),)], "agree boolean")
+
+
+@query(_AGREE)
+def collapse_by_distinct_agrees(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The histogram is taken for the few quantities and not for the many prices; answers are the same."""
+    rows, same = table(spark, sf_dir, "lineitem"), []
+    for key, few in (("l_quantity", True), (PRICE, False)):
+        ledger = Ledger()
+        a = multi_select(rows, key, W.TAIL, settings=Settings(collapse="auto", collapse_values=1000, branch="partition", finish_rows=500), ledger=ledger).collect()
+        same += [a == multi_select(rows, key, W.TAIL).collect(), bool(ledger.levels) != few]
+    return spark.createDataFrame([(all(same),)], "agree boolean")
+
+
+def _pruned(pivots: str) -> None:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        rows, ranks, n = _tail_ranks(spark, sf_dir)
+        return baselines.binary_prune(rows, PRICE, ranks, max(500, n // 8), pivots=pivots)
+
+    run.__name__ = f"baseline_binary_prune_{pivots}"
+    query(_TAIL)(run)
+
+
+for _p in ("random", "first"):
+    _pruned(_p)
