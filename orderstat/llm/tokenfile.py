@@ -33,7 +33,7 @@ from orderstat.llm.tokens import byte_letters, load
 
 SEGMENT, BLOCK = 4_000_000, 500_000
 #: Words kept in each of two generations, by worker, about 150 bytes each: a word not kept costs its split and merges.
-WORDS_KEPT = 250_000
+WORDS_KEPT = 400_000
 _BLOCK = "struct<doc_ids:array<long>,counts:array<long>,n:long,lanes:int,stream:binary,checkpoints:binary,stream_crc:long,ids_crc:long>"
 SCHEMA = f"part int, segment int, start long, n_tokens long, freq_table binary, blocks array<{_BLOCK}>"
 
