@@ -4,7 +4,8 @@
    count, digest of its words, and its window marks, which are about one symbol in three.
 2. Symbols that stand in two different texts are counted out of those small rows. Exact copies of a text count once.
 3. Only documents that hold a shared mark (or windows with no mark, such as long runs of one word) are read again; each of
-   their windows that may repeat gives its 128-bit fingerprint, and the least doc_id of each fingerprint decides.
+   their windows that may repeat gives a 128-bit digest of its own words, not of their names, and the least doc_id of each
+   digest decides. Words that share a name can thus make a window a candidate, but not a repeat.
 4. A third read of the documents that lose words applies the spans.
 
 Cases: null or empty text has no words; documents under the window length lose nothing unless the window is shorter;
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -77,16 +79,27 @@ def _windows(window: int):
             known = R.mix(shared.view(np.uint64) + R.salt(977))
             maybe = np.flatnonzero(R.whole_windows(wall, window) & (~has | np.isin(mark, known)))
             owner = np.searchsorted(starts, maybe, side="right") - 1
-            yield pa.RecordBatch.from_pydict({
-                "h1": R.window_names(words, window, 0x5851F42D4C957F2D, 11)[maybe].view(np.int64),
-                "h2": R.window_names(words, window, 0x2545F4914F6CDD1D, 29)[maybe].view(np.int64),
-                "doc_id": np.array([ids[k] for k in keep], dtype=np.int64)[owner],
-                "at": (maybe - starts[owner]).astype(np.int32),
-            })
+            at = maybe - starts[owner]
+            name = window_digests([split[k] for k in keep], owner, at, window)
+            yield pa.RecordBatch.from_pydict({"h1": name[:, 0], "h2": name[:, 1], "doc_id": np.array([ids[k] for k in keep], dtype=np.int64)[owner], "at": at.astype(np.int32)})
 
     return run
 
 
+def window_digests(texts: list[list[bytes]], owner: np.ndarray, at: np.ndarray, window: int) -> np.ndarray:
+    """128-bit digests, as two columns, of the words themselves of the windows that start at word at of text owner."""
+    line = memoryview(b" ".join(map(b" ".join, texts)))
+    size = np.fromiter(map(len, chain.from_iterable(texts)), dtype=np.int64)
+    end = np.cumsum(size + 1) - 1
+    first = np.cumsum([0, *map(len, texts)])[owner] + at
+    out = np.empty((len(at), 2), dtype=np.int64)
+    for k in range(0, len(at), 1 << 16):
+        f = first[k : k + (1 << 16)]
+        spans = zip((end[f] - size[f]).tolist(), end[f + window - 1].tolist())
+        out[k : k + len(f)] = np.frombuffer(b"".join([xxhash.xxh3_128_digest(line[a:z]) for a, z in spans]), dtype="<i8").reshape(-1, 2)
+    return out
+
+
 def read_again(docs: DataFrame, wanted: DataFrame, held: str) -> DataFrame:
     """docs joined to the rows of wanted (doc_id and the array held) by doc_id; broadcast where its bytes are few, else in a merge."""
     size = wanted.agg(F.sum(F.size(held) * 8 + 48)).first()[0] or 0
