@@ -1,8 +1,8 @@
 """Quality classifier: random-indexing word vectors pooled per document, then a two-layer network with calibrated output.
 
 Every word has a sparse random index vector by its hash. One pass over all documents adds to each word's bucket the index
-vectors of the words next to it, which gives the context vectors; buckets and dimensions are fixed, so the table has one
-size at any input. A document is the mean of its words' context vectors beside the mean of the index vectors of their
+vectors of the words next to it, which gives the context vectors. Buckets follow the fourth root of the corpus's bytes: the
+table grows with the vocabulary, yet a broadcast of it stays near 128 MB at 100 TB. A document is the mean of its words' context vectors beside the mean of the index vectors of their
 shapes (runs of upper case, lower case, digits and marks) and of a sign for a word that repeats the one before.
 
 The network is fitted on the driver on at most MOST_LABELLED labelled rows, a seeded choice. Two parts of them are kept from
@@ -16,6 +16,7 @@ empty one.
 
 from __future__ import annotations
 
+import math
 import re
 import zlib
 from collections.abc import Iterator
@@ -30,7 +31,11 @@ from pyspark.sql import functions as F
 
 from orderstat.llm.common import ASCII_LOWER, id_and_text, lean, pieces, raw_texts, stored
 
+#: Buckets of shapes, and of the words of a corpus up to BUCKET_BYTES.
 BUCKETS, DIMS, SIGNS = 1 << 14, 32, 2
+BUCKET_BYTES = 100_000_000
+#: Words whose neighbours are added up at once.
+WORDS_AT_ONCE = 1 << 19
 MOST_LABELLED = 20_000
 #: Score from which a document counts as of label 1.
 ACCEPT = 0.3
@@ -48,11 +53,17 @@ def index_vectors(count: int, seed: int) -> np.ndarray:
     return out
 
 
+def buckets_for(size: int) -> int:
+    """Word buckets of a corpus of size bytes: a power of two, growing with the fourth root of the size."""
+    return BUCKETS << math.ceil(max(0.0, math.log2(max(1, size) / BUCKET_BYTES)) / 4)
+
+
 class Reader:
     """Turns texts into word buckets and shape buckets; keeps what it has seen of the vocabulary."""
 
-    def __init__(self):
+    def __init__(self, buckets: int = BUCKETS):
         self.seen: dict[bytes, int] = {}
+        self.buckets = buckets
 
     def look(self, word: bytes) -> int:
         """The word's bucket times BUCKETS, plus its shape's bucket."""
@@ -61,7 +72,7 @@ class Reader:
             if len(self.seen) >= MOST_WORDS_KEPT:
                 self.seen.clear()
             shape = _RUNS.sub(rb"\1", word.translate(_SHAPE))
-            found = self.seen[word] = xxhash.xxh3_64_intdigest(word.translate(ASCII_LOWER)) % BUCKETS * BUCKETS + xxhash.xxh3_64_intdigest(shape) % BUCKETS
+            found = self.seen[word] = xxhash.xxh3_64_intdigest(word.translate(ASCII_LOWER)) % self.buckets * BUCKETS + xxhash.xxh3_64_intdigest(shape) % BUCKETS
         return found
 
     def read(self, raw: bytes) -> tuple[np.ndarray, np.ndarray]:
@@ -70,37 +81,55 @@ class Reader:
         return both // BUCKETS, both % BUCKETS
 
 
-def _context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row a task: the sums of its words' neighbours, as the bytes of a table of BUCKETS by DIMS."""
-    rng = np.random.default_rng(1)
-    place, sign = rng.integers(0, DIMS, (SIGNS, BUCKETS)), rng.choice(np.array([-1.0, 1.0]), (SIGNS, BUCKETS))
-    total, reader = np.zeros(BUCKETS * DIMS), Reader()
-    for batch in pieces(batches):
-        read = [reader.read(t)[0] for t in raw_texts(batch.column("text"))]
-        left = np.concatenate([w[:-1] for w in read]) if read else np.zeros(0, dtype=np.int64)
-        right = np.concatenate([w[1:] for w in read]) if read else np.zeros(0, dtype=np.int64)
-        for own, other in ((left, right), (right, left)):
-            for k in range(SIGNS):
-                total += np.bincount(own * DIMS + place[k][other], weights=sign[k][other], minlength=BUCKETS * DIMS)
-    yield pa.RecordBatch.from_pydict({"part": pa.array([TaskContext.get().partitionId()], pa.int64()), "sums": pa.array([total.tobytes()], pa.binary())})
+def _context(buckets: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """One row a task: the sums of its words' neighbours, as the cells that are not zero of a table of buckets by DIMS."""
+        rng = np.random.default_rng(1)
+        place, sign = rng.integers(0, DIMS, (SIGNS, buckets)), rng.choice(np.array([-1.0, 1.0]), (SIGNS, buckets))
+        total, reader, held, size = np.zeros(buckets * DIMS), Reader(buckets), [], 0
+
+        def add() -> None:
+            left, right = np.concatenate([w[:-1] for w in held]), np.concatenate([w[1:] for w in held])
+            for own, other in ((left, right), (right, left)):
+                for k in range(SIGNS):
+                    total[:] += np.bincount(own * DIMS + place[k][other], weights=sign[k][other], minlength=buckets * DIMS)
+
+        for batch in pieces(batches):
+            for raw in raw_texts(batch.column("text")):
+                held.append(reader.read(raw)[0])
+                size += len(held[-1])
+                if size >= WORDS_AT_ONCE:
+                    add()
+                    held, size = [], 0
+        if held:
+            add()
+        cells = np.flatnonzero(total)
+        yield pa.RecordBatch.from_pydict({"part": pa.array([TaskContext.get().partitionId()], pa.int64()), "cells": pa.array([cells.astype("<i4").tobytes()], pa.binary()), "sums": pa.array([total[cells].astype("<i8").tobytes()], pa.binary())})
+
+    return lean(run)
+
 
+def _add(buckets: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(buckets * DIMS)
+        for batch in batches:
+            for cells, sums in zip(batch.column("cells"), batch.column("sums")):
+                total[np.frombuffer(cells.as_buffer(), dtype="<i4")] += np.frombuffer(sums.as_buffer(), dtype="<i8")
+        yield pa.RecordBatch.from_pydict({"part": pa.array([0], pa.int64()), "sums": pa.array([total.tobytes()], pa.binary())})
 
-def _add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    total = np.zeros(BUCKETS * DIMS)
-    for batch in batches:
-        for raw in batch.column("sums"):
-            total += np.frombuffer(raw.as_buffer(), dtype=np.float64)
-    yield pa.RecordBatch.from_pydict({"part": pa.array([0], pa.int64()), "sums": pa.array([total.tobytes()], pa.binary())})
+    return lean(run)
 
 
 def context_vectors(docs: DataFrame, ways: int = 12) -> np.ndarray:
     """The table of context vectors over all documents, rows of length one; sums are whole numbers, so any order gives the same."""
-    parts = stored(id_and_text(docs).select("text").mapInArrow(lean(_context), "part long, sums binary"), "contexts")
-    rows = parts.repartition(ways, "part").mapInArrow(lean(_add), "part long, sums binary").toLocalIterator()  # one table at a time
-    total = np.zeros(BUCKETS * DIMS)
+    texts = id_and_text(docs).select("text")
+    buckets = buckets_for(texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0)
+    parts = stored(texts.mapInArrow(_context(buckets), "part long, cells binary, sums binary"), "contexts")
+    rows = parts.repartition(ways, "part").mapInArrow(_add(buckets), "part long, sums binary").toLocalIterator()  # one table at a time
+    total = np.zeros(buckets * DIMS)
     for r in rows:
         total += np.frombuffer(r["sums"], dtype=np.float64)
-    vectors = total.reshape(BUCKETS, DIMS)
+    vectors = total.reshape(buckets, DIMS)
     return (vectors / np.maximum(np.linalg.norm(vectors, axis=1, keepdims=True), 1e-9)).astype(np.float32)
 
 
@@ -183,7 +212,7 @@ def crc32(text: Column) -> Column:
 
 @dataclass
 class Model:
-    """What scoring needs; its size does not depend on the data."""
+    """What scoring needs; its size is that of the vectors, one for each word bucket."""
 
     vectors: np.ndarray
     shapes: np.ndarray
@@ -197,12 +226,12 @@ def learn(docs: DataFrame, labels: DataFrame, most_labelled: int = MOST_LABELLED
     """Context vectors from all of docs, the network from the rows (doc_id, quality) of labels."""
     spark, text = docs.sparkSession, id_and_text(docs)
     vectors, shapes = context_vectors(docs), index_vectors(BUCKETS, 2)
-    shipped = spark.sparkContext.broadcast((vectors, shapes))  # BUCKETS by DIMS floats, twice
+    shipped = spark.sparkContext.broadcast((vectors, shapes))  # two tables of buckets by DIMS floats
     taught = labels.filter("doc_id is not null and quality is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").cast("int").alias("quality"))
     taught = taught.orderBy(F.xxhash64(F.lit(23), "doc_id"), "doc_id").limit(most_labelled)
 
     def pooled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader = Reader()
+        reader = Reader(len(shipped.value[0]))
         for batch in pieces(batches):
             x = pool(raw_texts(batch.column("text")), *shipped.value, reader)
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "quality": batch.column("quality"), "x": pa.array(list(x.astype(np.float64)), pa.list_(pa.float64()))})
@@ -218,7 +247,7 @@ def scores(docs: DataFrame, model: Model) -> DataFrame:
     text, shipped = id_and_text(docs), docs.sparkSession.sparkContext.broadcast(model)
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader = Reader()
+        reader = Reader(len(shipped.value.vectors))
         for batch in pieces(batches):
             yield pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "score": shipped.value.score(raw_texts(batch.column("text")), reader)})
 
@@ -241,7 +270,7 @@ def accepted(docs: DataFrame, labels: DataFrame, accept: float = ACCEPT) -> Data
     shipped = docs.sparkSession.sparkContext.broadcast(learn(docs, taught(labels)))
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader = Reader()
+        reader = Reader(len(shipped.value.vectors))
         for batch in pieces(batches):
             yield batch.filter(pa.array(shipped.value.score(raw_texts(batch.column("text")), reader) >= accept))
 

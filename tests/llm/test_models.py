@@ -48,6 +48,28 @@ def test_context_vectors_by_hand(learned):
     assert np.allclose(model.vectors, want, atol=1e-6)
 
 
+def test_word_buckets_follow_the_corpus(learned, monkeypatch):
+    """More bytes, more buckets; words that meet in the small table part in the larger one, and held-out rows are told as well."""
+    assert [classifier.buckets_for(n) for n in (0, 100_000_000, 100_000_001, 10**9, 10**14)] == [1 << k for k in (14, 14, 15, 15, 19)]
+    docs, labels, _ = learned
+    monkeypatch.setattr(classifier, "BUCKET_BYTES", 1_000)
+    monkeypatch.setattr(classifier, "WORDS_AT_ONCE", 700)
+    model = classifier.learn(docs, classifier.taught(labels))
+    size, n = docs.agg(F.sum(F.octet_length("text"))).first()[0], len(model.vectors)
+    assert n == classifier.buckets_for(size) > classifier.BUCKETS
+    place_rng = np.random.default_rng(1)
+    place, sign = place_rng.integers(0, classifier.DIMS, (classifier.SIGNS, n)), place_rng.choice(np.array([-1.0, 1.0]), (classifier.SIGNS, n))
+    want = np.zeros((n, classifier.DIMS))
+    for r in docs.select("text").collect():
+        own = [xxhash.xxh3_64_intdigest(w.translate(common.ASCII_LOWER)) % n for w in (r["text"] or "").encode().split()]
+        for a, b in [*zip(own, own[1:]), *zip(own[1:], own)]:
+            for k in range(classifier.SIGNS):
+                want[a, place[k, b]] += sign[k, b]
+    want /= np.maximum(np.sqrt((want * want).sum(axis=1, keepdims=True)), 1e-9)
+    assert np.allclose(model.vectors, want, atol=1e-6)
+    assert classifier.scores(docs, model).filter("score between 0 and 1").count() == docs.count()
+
+
 def test_scores_by_hand(learned):
     """Pooling and the network's forward pass, word by word and unit by unit."""
     docs, _, model = learned
