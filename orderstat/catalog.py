@@ -653,7 +653,7 @@ def window_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return windows.ranks_of_counts(counts, ["start", "event_type"], ["0.5"])
 
 
-@query()
+@query("WITH e AS (SELECT date_trunc('day', ts) AS start, event_type, value AS k FROM events), o AS (SELECT *, row_number() OVER (PARTITION BY start, event_type ORDER BY k) AS rn, count(*) OVER (PARTITION BY start, event_type) AS n FROM e) SELECT CAST(start AS TIMESTAMP) AS start, event_type, CAST(CASE WHEN rn = (n + 1) // 2 THEN 0.5 END AS DOUBLE) AS fraction, CAST(rn AS BIGINT) AS rank, k AS value FROM o WHERE rn = (n + 1) // 2 AND start + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR")
 def stream_window_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same by a stream over the events in two files; windows that the watermark has passed."""
     from orderstat.streaming import windows
@@ -665,7 +665,7 @@ def stream_window_ranks(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = windows.stateful_ranks(stream, "value", F.window("ts", "1 day"), ["event_type"], ["0.5"], "1 hour")
     job = found.writeStream.format("parquet").option("checkpointLocation", f"{base}/state").option("path", f"{base}/out").outputMode("append").trigger(availableNow=True).start()
     job.awaitTermination()
-    return spark.read.schema(found.schema).parquet(f"{base}/out")
+    return spark.read.schema(found.schema).parquet(f"{base}/out").withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
 
