@@ -7,6 +7,7 @@ import math
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from orderstat.plans.gaps import Sizes, counted
 from orderstat.plans.policy import TallCache
 
 
@@ -15,14 +16,14 @@ def rank_entropy(gaps: DataFrame, n: int) -> DataFrame:
     return gaps.agg(F.coalesce(F.sum(F.col("size") * F.log2(F.lit(float(n)) / F.col("size"))), F.lit(0.0)).alias("entropy"))
 
 
-def entropy_of(sizes: list[int], n: int) -> float:
-    return sum(s * math.log2(n / s) for s in sizes) if n else 0.0
+def entropy_of(sizes: Sizes, n: int) -> float:
+    return sum(c * s * math.log2(n / s) for s, c in counted(sizes)) if n else 0.0
 
 
-def io_bound(sizes: list[int], n: int, m: int, b: int, base: str = "m/b") -> float:
+def io_bound(sizes: Sizes, n: int, m: int, b: int, base: str = "m/b") -> float:
     """Sum of size / B log(n / size) over the gaps, to the base M / B (or "m" for M), plus n / B."""
     log = math.log(m / b if base == "m/b" else m)
-    return sum(s / b * max(0.0, math.log(n / s)) / log for s in sizes) + n / b
+    return sum(c * s / b * max(0.0, math.log(n / s)) / log for s, c in counted(sizes)) + n / b
 
 
 def scan_blocks(n: int, b: int) -> int:
@@ -37,11 +38,11 @@ def tree_space(k: int, d: float) -> float:
     return k ** ((d + 1) / 2)
 
 
-def potential(sizes: list[int], n: int, kind: str = "comparisons", m: int = 2, b: int = 1) -> float:
+def potential(sizes: Sizes, n: int, kind: str = "comparisons", m: int = 2, b: int = 1) -> float:
     """Potential of all elements of a problem: 1 + lg(n / size) for each element of a gap, or its share of transfers."""
     if kind == "comparisons":
-        return sum(s * (1 + math.log2(n / s)) for s in sizes)
-    return sum(s / b * (1 + math.log(n / s) / math.log(m)) for s in sizes)
+        return sum(c * s * (1 + math.log2(n / s)) for s, c in counted(sizes))
+    return sum(c * s / b * (1 + math.log(n / s) / math.log(m)) for s, c in counted(sizes))
 
 
 def released(call: dict, later: list[dict]) -> float:

@@ -1,5 +1,6 @@
 """The measure queries read whole tables."""
 
+import duckdb
 import pytest
 
 from orderstat import catalog
@@ -23,3 +24,20 @@ def test_no_row_caps():
     import inspect
 
     assert not any(".limit(" in inspect.getsource(f) for f in (catalog.survivors_by_level, catalog._levels, catalog.kernel_costs))
+
+
+def from_sql(name, where):
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{where}/lineitem.parquet'")
+    return db.execute(catalog.SQL[name]).fetchall()
+
+
+def test_cost_table_lists_sizes_not_gaps(spark, small, monkeypatch):
+    """The driver gets the distinct gap sizes, at most sqrt(2 n + 2), also where there are n / 2 gaps."""
+    frame, got, where = type(spark.range(1)), [], small.replace("0.001", "0.01")
+    collect = frame.collect
+    monkeypatch.setattr(frame, "collect", lambda df: got.append(collect(df)) or got[-1])
+    n = table(spark, where, "lineitem").count()
+    rows = catalog.QUERIES["cost_table"](spark, where).collect()
+    assert max(len(g) for g in got) <= (2 * n + 2) ** 0.5
+    assert sorted(map(tuple, rows)) == sorted(from_sql("cost_table", where))
