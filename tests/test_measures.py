@@ -2,6 +2,7 @@
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from orderstat import catalog
 from orderstat.sources.tables import table
@@ -41,3 +42,17 @@ def test_cost_table_lists_sizes_not_gaps(spark, small, monkeypatch):
     rows = catalog.QUERIES["cost_table"](spark, where).collect()
     assert max(len(g) for g in got) <= (2 * n + 2) ** 0.5
     assert sorted(map(tuple, rows)) == sorted(from_sql("cost_table", where))
+
+
+def test_wide_keys_beyond_longs(spark, small, tmp_path):
+    rows = table(spark, small, "lineitem").withColumn("l_orderkey", F.expr("l_orderkey + if(l_orderkey > 1000, 8000000L, 0L)"))
+    rows.write.parquet(f"{tmp_path}/lineitem.parquet")
+    upto, want, total = 0, None, sum(r["l_quantity"] for r in rows.collect())
+    for k, w in sorted((r["l_orderkey"] * 1152921504606 + r["l_linenumber"], r["l_quantity"]) for r in rows.collect()):
+        upto += w
+        if want is None and 2 * upto >= total:
+            want = k
+    assert max(r["l_orderkey"] for r in rows.collect()) * 1152921504606 > 2**63
+    found = catalog.QUERIES["weighted_select_wide_keys"](spark, str(tmp_path))
+    assert found.dtypes == [("value", "bigint")] and [r["value"] for r in found.collect()] == [want]
+    assert [tuple(r) for r in catalog.QUERIES["weighted_select_wide_keys"](spark, small).collect()] == from_sql("weighted_select_wide_keys", small)
