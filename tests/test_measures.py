@@ -1,10 +1,15 @@
 """The measure queries read whole tables."""
 
+from pathlib import Path
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
 
 from orderstat import catalog
+from orderstat.functions import sqlapi
+from orderstat.operators.engine import multi_select
+from orderstat.plans.policy import Settings
 from orderstat.sources.tables import table
 
 
@@ -29,7 +34,9 @@ def test_no_row_caps():
 
 def from_sql(name, where):
     db = duckdb.connect()
-    db.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{where}/lineitem.parquet'")
+    for t in ("lineitem", "orders"):
+        if Path(f"{where}/{t}.parquet").exists():
+            db.execute(f"CREATE VIEW {t} AS SELECT * FROM '{where}/{t}.parquet'")
     return db.execute(catalog.SQL[name]).fetchall()
 
 
@@ -56,3 +63,21 @@ def test_wide_keys_beyond_longs(spark, small, tmp_path):
     found = catalog.QUERIES["weighted_select_wide_keys"](spark, str(tmp_path))
     assert found.dtypes == [("value", "bigint")] and [r["value"] for r in found.collect()] == [want]
     assert [tuple(r) for r in catalog.QUERIES["weighted_select_wide_keys"](spark, small).collect()] == from_sql("weighted_select_wide_keys", small)
+
+
+@pytest.mark.parametrize("name, least", [("fig_example", 4)])
+def test_follows_its_table(spark, small, name, least):
+    found = catalog.QUERIES[name](spark, small)
+    rows = sorted(map(tuple, found.collect()))
+    assert rows == sorted(from_sql(name, small)) and len(rows) >= least
+
+
+def test_published_example_and_entry_points(spark):
+    """What the queries had as literals before: the fifteen numbers, the gaps between two ranks, a family of 1,000."""
+    fifteen = [67, 30, 45, 33, 15, 99, 26, 90, 55, 9, 96, 45, 95, 31, 3]
+    got = multi_select(spark.createDataFrame([(x,) for x in fifteen], "x long"), "x", [1, 2, 3, 8], settings=Settings(branch="partition", pivots="paper", finish_rows=4))
+    assert sorted(map(tuple, got.collect())) == [(1, 3), (2, 9), (3, 15), (8, 45)]
+    sqlapi.register(spark)
+    assert sorted(map(tuple, spark.sql("SELECT * FROM gap_table(array(4L, 9L), 20)").collect())) == [(1, 0, 4, 4), (2, 4, 9, 5), (3, 9, 21, 12)]
+    family = spark.read.format("rank_family").option("kind", "geometric").option("n", 1000).load()
+    assert sorted(r["rank"] for r in family.collect()) == [1 << j for j in range(10)]
