@@ -65,7 +65,7 @@ def test_wide_keys_beyond_longs(spark, small, tmp_path):
     assert [tuple(r) for r in catalog.QUERIES["weighted_select_wide_keys"](spark, small).collect()] == from_sql("weighted_select_wide_keys", small)
 
 
-@pytest.mark.parametrize("name, least", [("fig_example", 4), ("rank_family_source", 13)])
+@pytest.mark.parametrize("name, least", [("fig_example", 4), ("rank_family_source", 13), ("udtf_gap_table", 100)])
 def test_follows_its_table(spark, small, name, least):
     found = catalog.QUERIES[name](spark, small)
     rows = sorted(map(tuple, found.collect()))
