@@ -11,8 +11,10 @@ A crowded band is not paired out while its members can be joined through a few o
 their component, round by round. Where few pairs across components remain, they are verified. Where many do, as among texts that share
 a long passage and little else, the texts that are left are joined anew by prefixes: shingles in order of how many of these texts have
 them, rarest first. A text of n shows the first n - ceil(threshold n) + 1 to texts of its size or less, and looks for others by fewer.
-Texts as similar as the threshold share one of those, and what many texts share comes last. Texts that share one are compared in blocks
-by their hashed shingles. Components are thus those of all verified candidate pairs.
+Texts as similar as the threshold share one of those, and what many texts share comes last. Where few share one, their pairs are kept
+if two independent fingerprints (128 bits) differ in at most FAR bits, and then by their hashed shingles: without the former, texts that have
+a single shingle in common would carry all of theirs to it. Texts at similarity 0.8 differ in 19 of 128 bits, in more than FAR with a
+probability under 1e-6. Where many share one, they are compared in blocks by their hashed shingles. Components are thus those of all verified candidate pairs.
 
 Cases: null and empty texts have no shingles and are copies of each other; a text of fewer words than a shingle is one shingle; words
 are compared in ASCII lower case; component_id is the least non-null doc_id of the component, null only where it has none;
@@ -43,6 +45,8 @@ NEAR = 4
 PAIRS, MOST_LEADERS = 4, 12
 #: Texts of a block at most, and shingles in them.
 BLOCK, CELLS = 1024, 1_000_000
+#: Texts that share a shingle up to which their pairs are listed, and the most bits of 128 in which fingerprints of a listed pair differ.
+LISTED, FAR = 16, 44
 #: Vertices up to which they are broadcast to the documents rather than met in a shuffle.
 FEW = 500_000
 _TURN = R.mix(np.arange(1, BANDS * ROWS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
@@ -137,31 +141,48 @@ def by_prefix(texts: DataFrame, left: DataFrame, width: int, threshold: float) -
         for batch in pieces(batches):
             h, doc = named(raw_texts(batch.column("text")), width)
             ends = np.searchsorted(doc, np.arange(batch.num_rows + 1)).astype(np.int32)
-            yield pa.RecordBatch.from_pydict({"vertex": batch.column("vertex"), "n": np.diff(ends), "hs": pa.ListArray.from_arrays(ends, h.view(np.int64))})
+            at = np.flatnonzero(np.diff(ends))
+            prints = np.zeros((2, batch.num_rows), dtype=np.uint64)
+            prints[0, at], prints[1, at] = majority(h, ends[at]), majority(R.mix(h ^ _TURN[0]), ends[at])
+            yield pa.RecordBatch.from_pydict({"vertex": batch.column("vertex"), "n": np.diff(ends), "f": prints[0].view(np.int64), "g": prints[1].view(np.int64), "hs": pa.ListArray.from_arrays(ends, h.view(np.int64))})
 
-    sets = texts.join(left.select("vertex"), "vertex", "left_semi").mapInArrow(lean(cut), "vertex long, n int, hs array<long>")
-    each = stored(sets.select("vertex", "n", F.explode("hs").alias("h")), "shingles")
+    every = stored(texts.join(left.select("vertex"), "vertex", "left_semi").mapInArrow(lean(cut), "vertex long, n int, f long, g long, hs array<long>"), "shingles")
+    each = every.select("vertex", F.explode("hs").alias("h"))
     held = stored(each.groupBy("h").agg(F.count("*").alias("df")).filter("df > 1"), "held")  # on its own, so that hot shingles of the join can be split
-    met = each.join(held, "h").groupBy("vertex", "n").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("s"))
+    met = each.join(held, "h").groupBy("vertex").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("s"))
+    met = stored(met.join(every.select("vertex", "n", "f", "g"), "vertex"), "sets")
+    sets = met.select("vertex", "n", F.col("s.h").alias("hs"))
     # What only one text has comes before all that is left here. A text looks for texts of its size or more by a shorter prefix than
     # the one by which smaller texts find it, for it must have more in common with them.
     n = F.col("n")
     own, other = (n - F.ceil(share * n - 1e-6) + 1 for share in (2 * threshold / (1 + threshold), threshold))
     first = n - F.size("s")
-    shown = met.select("vertex", "n", (own - first).alias("own"), F.posexplode(F.slice("s", 1, F.greatest(other - first, F.lit(0)).cast("int"))).alias("at", "e")).select("vertex", "n", (F.col("at") < F.col("own")).alias("seeks"), "e.h")
+    shown = met.select("vertex", "n", "f", "g", (own - first).alias("own"), F.posexplode(F.slice("s", 1, F.greatest(other - first, F.lit(0)).cast("int"))).alias("at", "e")).select("vertex", "n", "f", "g", (F.col("at") < F.col("own")).alias("seeks"), "e.h")
     shown = stored(shown.join(left, "vertex"), "shown")
-    open_ = shown.groupBy("h").agg(F.min("root").alias("p"), F.max("root").alias("q"), F.max("seeks").alias("seeks"), F.count("*").alias("members"), F.sum("n").alias("cells"))
-    open_ = open_.filter("p < q and seeks").select("h", F.ceil(F.greatest(F.col("members") / BLOCK, F.col("cells") / CELLS)).cast("int").alias("blocks"))
+    open_ = shown.groupBy("h").agg(F.min("root").alias("p"), F.max("root").alias("q"), F.max("seeks").alias("seeks"), F.count("*").alias("members"), F.sum("n").alias("cells")).filter("p < q and seeks")
+    open_ = stored(open_.select("h", "members", F.ceil(F.greatest(F.col("members") / BLOCK, F.col("cells") / CELLS)).cast("int").alias("blocks")), "shared")
     # A crowded group is cut to blocks, and every two of them meet in a task of their own.
-    sought = shown.join(open_, "h").withColumn("block", F.pmod(F.xxhash64("vertex"), F.col("blocks")).cast("int"))
+    sought = shown.join(open_.filter(F.col("members") > LISTED), "h").withColumn("block", F.pmod(F.xxhash64("vertex"), F.col("blocks")).cast("int"))
     sought = sought.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     sought = sought.select("h", F.least("block", "with").alias("u"), F.greatest("block", "with").alias("w"), "vertex", "root", "n")
-    sets = stored(met.select("vertex", F.transform("s", lambda e: e["h"]).alias("hs")), "sets")
 
     def compare(group: pa.Table) -> pa.Table:
         return similar(group, threshold)
 
-    return stored(sought, "sought").join(sets, "vertex").groupBy("h", "u", "w").applyInArrow(compare, "x long, y long").distinct()
+    crowds = stored(sought, "sought").join(sets.select("vertex", "hs"), "vertex").groupBy("h", "u", "w").applyInArrow(compare, "x long, y long")
+    return _listed(shown.join(open_.filter(F.col("members") <= LISTED).select("h"), "h"), sets, threshold).unionByName(crowds).distinct()
+
+
+def _listed(shown: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """Pairs (x, y) of texts that share a shingle with few others and reach the threshold by their hashed shingles."""
+    groups = shown.groupBy("h").agg(F.collect_list(F.struct("vertex", "root", "n", "seeks", "f", "g")).alias("all"))
+    met = groups.select(F.explode("all").alias("x"), "all").select("x", F.explode("all").alias("y")).filter("x.vertex < y.vertex and x.root <> y.root and (x.seeks or y.seeks)")
+    size, apart = (lambda f: f(F.col("x.n"), F.col("y.n"))), (lambda c: F.bit_count(F.col(f"x.{c}").bitwiseXOR(F.col(f"y.{c}"))))
+    met = met.filter((size(F.least) >= threshold * size(F.greatest) - 1e-9) & (apart("f") + apart("g") <= FAR))
+    pairs = stored(met.select(F.col("x.vertex").alias("x"), F.col("y.vertex").alias("y")).distinct(), "listed")
+    told = lambda name: sets.select(F.col("vertex").alias(name), F.col("n").alias(f"n{name}"), F.col("hs").alias(f"h{name}"))
+    both = F.size(F.array_intersect("hx", "hy"))
+    return pairs.join(told("x"), "x").join(told("y"), "y").filter(both >= threshold * (F.col("nx") + F.col("ny") - both) - 1e-9).select("x", "y")
 
 
 def similar(group: pa.Table, threshold: float) -> pa.Table:
