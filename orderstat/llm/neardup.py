@@ -8,11 +8,12 @@ throughout a band are candidates too, verified alike. A pair at similarity s is
 (1 - s**ROWS)**BANDS, which is 5e-8 at 0.8 and less above, at any size of the table.
 
 A crowded band is not paired out while its members can be joined through a few of them: leaders are compared with those not yet in
-their component, round by round. Where few pairs across components remain, they are verified. Where many do, as among texts that share
-a long passage and little else, the texts that are left are joined anew by prefixes: shingles in order of how many of these texts have
-them, rarest first. A text of n shows the first n - ceil(threshold n) + 1 to texts of its size or less, and looks for others by fewer.
-Texts as similar as the threshold share one of those, and what many texts share comes last. Texts that share one are compared in blocks
-by their hashed shingles. Components are thus those of all verified candidate pairs.
+their component, round by round. What is left then, at any size of the table, are mostly texts that share a long passage and little else. They
+are joined anew by prefixes: shingles in order of how many of these texts have them, rarest first. A text of n shows the first
+n - ceil(threshold n) + 1 to texts of its size or less, and looks for others by fewer. Texts as similar as the threshold share one of
+those, and what many texts share comes last. Where at most LISTED share one, the pairs whose sizes allow it are listed.
+Where more do, they meet in blocks with PARITY bits each, which rule out pairs that differ in too many shingles and no others; only texts
+left with a possible partner bring their hashed shingles. Components are thus those of all verified candidate pairs.
 
 Cases: null and empty texts have no shingles and are copies of each other; a text of fewer words than a shingle is one shingle; words
 are compared in ASCII lower case; component_id is the least non-null doc_id of the component, null only where it has none;
@@ -38,9 +39,10 @@ from orderstat.llm.simhash import majority, standing
 BANDS, ROWS = 32, 4
 #: Bits within which the tree connects fingerprints: NEAR + 1 blocks of bits of some 12 bits each still part the fingerprints.
 NEAR = 4
-#: Cross pairs a member of the crowded bands up to which they are all verified; over it, another leader is tried first, so many times
-#: at most and only while a leader settles a tenth of the pairs.
-PAIRS, MOST_LEADERS = 4, 12
+#: Leaders of a crowded band that are tried at most, and only while a leader settles a tenth of the pairs.
+MOST_LEADERS = 12
+#: Texts that share a shingle up to which their pairs are listed, and the parity bits of a text in larger groups.
+LISTED, PARITY = 32, 1024
 #: Texts of a block at most, and shingles in them.
 BLOCK, CELLS = 1024, 1_000_000
 #: Vertices up to which they are broadcast to the documents rather than met in a shuffle.
@@ -130,6 +132,22 @@ def verified(pairs: DataFrame, texts: DataFrame, width: int, threshold: float) -
     return met.select("a", "b", "left", "right").mapInArrow(lean(check), "a long, b long")
 
 
+def parity(h: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """PARITY bits a text, each the parity of the number of its shingles that fall on it, from h by text, each text's from starts on.
+
+    A shingle that only one of two texts has changes one bit, so no two texts differ in more bits than in shingles.
+    """
+    out = np.zeros((len(starts), PARITY // 8), dtype=np.uint8)
+    ends = np.append(starts[1:], len(h))
+    at = (h % np.uint64(PARITY)).astype(np.int64)
+    for k in range(0, len(starts), 1024):
+        a, z = starts[k], ends[min(k + 1024, len(starts)) - 1]
+        own = ends[k : k + 1024] - starts[k : k + 1024]
+        odd = np.bincount(np.repeat(np.arange(len(own)), own) * PARITY + at[a:z], minlength=len(own) * PARITY) & 1
+        out[k : k + 1024] = np.packbits(odd.astype(bool).reshape(len(own), PARITY), axis=1)
+    return out
+
+
 def by_prefix(texts: DataFrame, left: DataFrame, width: int, threshold: float) -> DataFrame:
     """Pairs (x, y) across the roots of left (vertex, root) that may be as similar as the threshold: all that are, and few others."""
 
@@ -137,31 +155,62 @@ def by_prefix(texts: DataFrame, left: DataFrame, width: int, threshold: float) -
         for batch in pieces(batches):
             h, doc = named(raw_texts(batch.column("text")), width)
             ends = np.searchsorted(doc, np.arange(batch.num_rows + 1)).astype(np.int32)
-            yield pa.RecordBatch.from_pydict({"vertex": batch.column("vertex"), "n": np.diff(ends), "hs": pa.ListArray.from_arrays(ends, h.view(np.int64))})
+            bits = np.zeros((batch.num_rows, PARITY // 8), dtype=np.uint8)
+            at = np.flatnonzero(np.diff(ends))
+            bits[at] = parity(h, ends[at])
+            yield pa.RecordBatch.from_pydict({"vertex": batch.column("vertex"), "root": batch.column("root"), "n": np.diff(ends), "bits": pa.array([b.tobytes() for b in bits], pa.binary()), "hs": pa.ListArray.from_arrays(ends, h.view(np.int64))})
 
-    sets = texts.join(left.select("vertex"), "vertex", "left_semi").mapInArrow(lean(cut), "vertex long, n int, hs array<long>")
-    each = stored(sets.select("vertex", "n", F.explode("hs").alias("h")), "shingles")
+    known = stored(texts.join(left, "vertex").select("vertex", "root", "text").mapInArrow(lean(cut), "vertex long, root long, n int, bits binary, hs array<long>"), "sets")
+    each = known.select("vertex", F.explode("hs").alias("h"))
     held = stored(each.groupBy("h").agg(F.count("*").alias("df")).filter("df > 1"), "held")  # on its own, so that hot shingles of the join can be split
-    met = each.join(held, "h").groupBy("vertex", "n").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("s"))
+    met = each.join(held, "h").groupBy("vertex").agg(F.array_sort(F.collect_list(F.struct("df", "h"))).alias("s"))
+    met = met.join(known.select("vertex", "root", "n"), "vertex")
     # What only one text has comes before all that is left here. A text looks for texts of its size or more by a shorter prefix than
     # the one by which smaller texts find it, for it must have more in common with them.
     n = F.col("n")
     own, other = (n - F.ceil(share * n - 1e-6) + 1 for share in (2 * threshold / (1 + threshold), threshold))
     first = n - F.size("s")
-    shown = met.select("vertex", "n", (own - first).alias("own"), F.posexplode(F.slice("s", 1, F.greatest(other - first, F.lit(0)).cast("int"))).alias("at", "e")).select("vertex", "n", (F.col("at") < F.col("own")).alias("seeks"), "e.h")
-    shown = stored(shown.join(left, "vertex"), "shown")
-    open_ = shown.groupBy("h").agg(F.min("root").alias("p"), F.max("root").alias("q"), F.max("seeks").alias("seeks"), F.count("*").alias("members"), F.sum("n").alias("cells"))
-    open_ = open_.filter("p < q and seeks").select("h", F.ceil(F.greatest(F.col("members") / BLOCK, F.col("cells") / CELLS)).cast("int").alias("blocks"))
+    shown = met.select("vertex", "root", "n", (own - first).alias("own"), F.posexplode(F.slice("s", 1, F.greatest(other - first, F.lit(0)).cast("int"))).alias("at", "e"))
+    shown = stored(shown.select("vertex", "root", "n", (F.col("at") < F.col("own")).alias("seeks"), "e.h"), "shown")
+    open_ = shown.groupBy("h").agg(F.min("root").alias("p"), F.max("root").alias("q"), F.max("seeks").alias("seeks"), F.count("*").alias("members"), F.sum("n").alias("cells")).filter("p < q and seeks")
+    open_ = stored(open_.select("h", "members", F.ceil(F.greatest(F.col("members") / BLOCK, F.col("cells") / CELLS)).cast("int").alias("blocks")), "shared")
     # A crowded group is cut to blocks, and every two of them meet in a task of their own.
-    sought = shown.join(open_, "h").withColumn("block", F.pmod(F.xxhash64("vertex"), F.col("blocks")).cast("int"))
+    sought = shown.join(open_.filter(F.col("members") > LISTED), "h").withColumn("block", F.pmod(F.xxhash64("vertex"), F.col("blocks")).cast("int"))
     sought = sought.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     sought = sought.select("h", F.least("block", "with").alias("u"), F.greatest("block", "with").alias("w"), "vertex", "root", "n")
-    sets = stored(met.select("vertex", F.transform("s", lambda e: e["h"]).alias("hs")), "sets")
+
+    def narrow(group: pa.Table) -> pa.Table:
+        return hopeful(group, threshold)
 
     def compare(group: pa.Table) -> pa.Table:
         return similar(group, threshold)
 
-    return stored(sought, "sought").join(sets, "vertex").groupBy("h", "u", "w").applyInArrow(compare, "x long, y long").distinct()
+    # Only texts that may have a partner in the block take their shingles there.
+    kept = sought.join(known.select("vertex", "bits"), "vertex").groupBy("h", "u", "w").applyInArrow(narrow, sought.schema)
+    crowds = stored(kept, "sought").join(known.select("vertex", "hs"), "vertex").groupBy("h", "u", "w").applyInArrow(compare, "x long, y long")
+    return listed(shown.join(open_.filter(F.col("members") <= LISTED).select("h"), "h"), threshold).unionByName(crowds).distinct()
+
+
+def listed(shown: DataFrame, threshold: float) -> DataFrame:
+    """Pairs (x, y) of texts that share a shingle with few others, across roots, whose sizes allow the threshold."""
+    groups = shown.groupBy("h").agg(F.collect_list(F.struct("vertex", "root", "n", "seeks")).alias("all"))
+    rows = groups.select(F.explode("all").alias("one"), "all")
+    sizes = lambda y: F.least(F.col("one.n"), y["n"]) >= threshold * F.greatest(F.col("one.n"), y["n"]) - 1e-9
+    fit = lambda y: (F.col("one.vertex") < y["vertex"]) & (F.col("one.root") != y["root"]) & (F.col("one.seeks") | y["seeks"]) & sizes(y)
+    return rows.select(F.col("one.vertex").alias("x"), F.explode(F.transform(F.filter("all", fit), lambda y: y["vertex"])).alias("y"))
+
+
+def hopeful(group: pa.Table, threshold: float) -> pa.Table:
+    """The rows of a group that may reach the threshold with another of its rows under another root, by their sizes and parity bits."""
+    n, root = (group.column(c).to_numpy() for c in ("n", "root"))
+    bits = np.frombuffer(b"".join(group.column("bits").to_pylist()), dtype=np.uint64).reshape(len(n), PARITY // 64)
+    most, keep = (1 - threshold) / (1 + threshold), np.zeros(len(n), dtype=bool)
+    for i in range(len(n) - 1):
+        at = i + 1 + np.flatnonzero((root[i + 1 :] != root[i]) & (np.minimum(n[i], n[i + 1 :]) >= threshold * np.maximum(n[i], n[i + 1 :]) - 1e-9))
+        at = at[np.bitwise_count(bits[at] ^ bits[i]).sum(axis=1) <= most * (n[at].astype(np.int64) + n[i]) + 1e-6]
+        keep[at] = True
+        keep[i] |= len(at) > 0
+    return group.drop_columns(["bits"]).filter(pa.array(keep)).select(["h", "u", "w", "vertex", "root", "n"])
 
 
 def similar(group: pa.Table, threshold: float) -> pa.Table:
@@ -172,9 +221,10 @@ def similar(group: pa.Table, threshold: float) -> pa.Table:
     order = np.argsort(h, kind="stable")
     edges = np.flatnonzero(np.append(True, np.diff(h[order]) != 0)) if len(h) else np.zeros(0, dtype=np.int64)
     both = np.zeros((len(n), len(n)), dtype=np.int32)
-    for part in np.split(owner[order], edges[1:]):
-        if len(part) > 1:
-            both[np.ix_(part, part)] += 1
+    ends, owner = np.append(edges[1:], len(h)), owner[order]
+    for k in np.flatnonzero(ends - edges > 1):
+        part = owner[edges[k] : ends[k]]
+        both[np.ix_(part, part)] += 1
     a, b = np.nonzero(np.triu(both, 1))
     ok = (both[a, b] >= threshold * (n[a].astype(np.int64) + n[b] - both[a, b]) - 1e-9) & (root[a] != root[b])
     label = {int(r): int(r) for r in root}
@@ -235,8 +285,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
     texts = stored(_texts(docs, groups.join(wanted, "vertex", "left_semi"), width), "candidates")
     links = stored(verified(pairs, texts, width, threshold), "links")
     tested, roots, before = pairs, None if links.isEmpty() else _merged(links, None), None
-    n = members.count()
-    for turn in range(MOST_LEADERS + 1) if n else ():
+    for turn in () if members.isEmpty() else range(MOST_LEADERS + 1):
         now = members.withColumn("root", F.col("vertex")) if roots is None else _rooted(members, roots, "vertex")
         now = stored(now.select("band", "vertex", "root"), "labelled")
         # Pairs across components by band: half of all pairs less those within a component.
@@ -245,15 +294,12 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: float = 0.8) ->
         cross = bands.agg(F.sum("cross")).first()[0] or 0
         if not cross:
             break
-        few = cross <= PAIRS * n
-        last = few or turn == MOST_LEADERS or (before is not None and cross > 0.9 * before)
+        last = turn == MOST_LEADERS or (before is not None and cross > 0.9 * before)
         before = cross
         # Bands whose components are whole need no further look.
         members = stored(now.join(bands.select("band"), "band", "left_semi").select("band", "vertex", "root"), "across")
-        if last and not few:
+        if last:
             pairs = by_prefix(texts, members.select("vertex", "root").distinct(), width, threshold)
-        elif last:
-            pairs = members.select("band", F.col("vertex").alias("x"), F.col("root").alias("p")).join(members.select("band", F.col("vertex").alias("y"), F.col("root").alias("q")), "band").filter("p < q")
         else:
             pairs = members.join(bands.select("band", "leader", "led"), "band").filter("root <> led").select(F.col("vertex").alias("x"), F.col("leader").alias("y"))
         members = members.select("band", "vertex")

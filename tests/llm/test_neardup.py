@@ -103,3 +103,54 @@ def test_close_fingerprints_are_not_enough(spark, monkeypatch):
     rows = near_rows(4)[:40]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     assert {x["doc_id"] for x in neardup.one_of_each(docs).collect()} == plain_kept(rows)
+
+
+def joined(spark, rows):
+    """Pairs of by_prefix, each text under its own root, and the bytes shuffled for them."""
+    shuffled = lambda: spark._jsc.sc().statusStore().executorList(True).head().totalShuffleWrite()
+    texts, before = spark.createDataFrame(rows, "vertex long, text string"), shuffled()
+    pairs = {(min(x["x"], x["y"]), max(x["x"], x["y"])) for x in neardup.by_prefix(texts, texts.selectExpr("vertex", "vertex root"), 5, 0.8).collect()}
+    return pairs, shuffled() - before
+
+
+def linked(rows, pairs, threshold=0.8):
+    """The components that the pairs which reach the threshold make."""
+    have, root = {i: sets(t) for i, t in rows}, {i: {i} for i, _ in rows}
+    for a, b in pairs:
+        if len(have[a] & have[b]) >= threshold * len(have[a] | have[b]) - 1e-9 and root[a] is not root[b]:
+            root[a] |= root[b]
+            root |= {i: root[a] for i in root[b]}
+    return {frozenset(x) for x in root.values()}
+
+
+def test_texts_that_share_a_few_passages_take_no_shingles_along(spark):
+    """The join by prefixes shuffles each shingle a few times, not a text's whole set for each shingle that few others share."""
+    r = random.Random(5)
+    passages = [[f"p{k}w{j}" for j in range(60)] for k in range(375)]
+    order = [k for k in range(375) for _ in range(4)]
+    r.shuffle(order)
+    rows = [(k, " ".join(w for p in order[5 * k : 5 * k + 5] for w in passages[p])) for k in range(300)]
+    rows.append((300, rows[0][1].rsplit(" ", 1)[0] + " other"))
+    pairs, size = joined(spark, rows)
+    assert (0, 300) in pairs and size < 10e6
+
+
+def test_crowds_by_prefix_against_brute_force(spark):
+    """Far more texts than are listed share the rarest shingles of each other, some above the threshold and most below."""
+    r = random.Random(6)
+    passages = [[f"p{k}w{j}" for j in range(30)] for k in range(16)]
+    rows = [(k, " ".join(w for p in sorted(r.sample(range(16), 12)) for w in passages[p])) for k in range(4 * neardup.LISTED)]
+    rows = list({t: (k, t) for k, t in rows}.values())
+    pairs, _ = joined(spark, rows)
+    want = linked(rows, [(a, b) for a, _ in rows for b, _ in rows if a < b])
+    assert linked(rows, pairs) == want and 1 < len(want) < len(rows)
+
+
+def test_parity_bits_differ_in_no_more_bits_than_shingles():
+    r = np.random.default_rng(7)
+    both = r.integers(0, 2**63, 3000).astype(np.uint64)
+    parts = [np.sort(r.choice(both, n, replace=False)) for n in (1, 10, 400, 390, 2500, 3000)]
+    bits = neardup.parity(np.concatenate(parts), np.cumsum([0, *map(len, parts)])[:-1])
+    for a, x in zip(parts, bits):
+        for b, y in zip(parts, bits):
+            assert int(np.bitwise_count(x ^ y).sum()) <= len(np.setxor1d(a, b))
