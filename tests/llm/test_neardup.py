@@ -132,7 +132,7 @@ def test_texts_that_share_a_few_passages_take_no_shingles_along(spark):
     rows = [(k, " ".join(w for p in order[5 * k : 5 * k + 5] for w in passages[p])) for k in range(300)]
     rows.append((300, rows[0][1].rsplit(" ", 1)[0] + " other"))
     pairs, size = joined(spark, rows)
-    assert (0, 300) in pairs and size < 10e6
+    assert (0, 300) in pairs and size < 4e6
 
 
 def test_crowds_by_prefix_against_brute_force(spark):
